@@ -110,11 +110,11 @@ def drop_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
 
 
 SQL = r"""
-WITH norm AS (SELECT item_id, list_filter(regexp_split_to_array(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), x -> x <> '') AS w FROM benchmark),
+WITH norm AS (SELECT item_id, list_filter(regexp_split_to_array(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM benchmark),
 sized AS (SELECT item_id, w, least(len(w), 5) AS k FROM norm WHERE len(w) > 0),
 items AS (SELECT DISTINCT item_id, k, unnest([array_to_string(w[i:i + k - 1], ' ') FOR i IN range(1, len(w) - k + 2)]) AS shingle FROM sized),
 counts AS (SELECT item_id, count(*) AS shingles FROM items GROUP BY item_id),
-dnorm AS (SELECT DISTINCT doc_id, text, list_filter(regexp_split_to_array(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), x -> x <> '') AS w FROM documents),
+dnorm AS (SELECT DISTINCT doc_id, text, list_filter(regexp_split_to_array(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
 dsh AS (SELECT DISTINCT doc_id, text, k, unnest([array_to_string(w[i:i + k - 1], ' ') FOR i IN range(1, len(w) - k + 2)]) AS shingle FROM dnorm, (SELECT DISTINCT k FROM sized)),
 hit AS (SELECT doc_id, text, item_id, count(*) AS found FROM dsh JOIN items USING (shingle, k) GROUP BY ALL)
 SELECT doc_id, item_id, CAST(shingles AS BIGINT) AS shingles, CAST(found AS BIGINT) AS found, CAST(found AS DOUBLE) / shingles AS containment

@@ -2,7 +2,7 @@
 
 Each language has a raw-content zstandard dictionary: whole texts of a bounded, hash-chosen sample of the labelled rows
 (at most ``SAMPLE_TEXTS`` texts and ``DICT_BYTES`` bytes a language). A text is encoded, in blocks of ``BLOCK`` bytes so
-that its own history never replaces the dictionary's, once with every dictionary; the smallest sum of sizes names the
+that its own history never replaces the dictionary's, lower-cased, once with every dictionary; the smallest sum of sizes names the
 language. ``score`` is the smallest size's share in a soft minimum; ``rejected`` marks margins too narrow to trust.
 
 Defined results: null texts and texts without a letter are ``und`` with score 0; ties go to the language with more
@@ -22,8 +22,8 @@ from pyspark.sql import functions as F
 
 from .common import hash60, small_batches
 
-SAMPLE_TEXTS, SAMPLE_CHARS, DICT_BYTES = 120, 20_000, 112 << 10
-BLOCK, LEVEL = 4096, 3
+SAMPLE_TEXTS, SAMPLE_CHARS, DICT_BYTES = 120, 20_000, 32 << 10
+BLOCK, SHORTEST_MATCH = 4096, 4
 NARROW = 0.01
 SCHEMA = "doc_id long, lang_pred string, score double, rejected boolean"
 _LETTER = re.compile(r"[^\W\d_]")
@@ -40,7 +40,7 @@ def learn_dictionaries(docs: DataFrame, *, id_col: str = "doc_id", text_col: str
     chosen = usable.withColumn("r", F.row_number().over(order)).where(F.col("r") <= SAMPLE_TEXTS).select("lang", "r", "text").collect()
     content: dict[str, bytes] = {}
     for r in sorted(chosen, key=lambda r: (r["lang"], r["r"])):
-        held, more = content.get(r["lang"], b""), r["text"].encode()
+        held, more = content.get(r["lang"], b""), r["text"].lower().encode()
         if len(held) + len(more) + 1 <= DICT_BYTES or not held:
             content[r["lang"]] = held + more + b"\n"
     return sorted(((k, v) for k, v in content.items() if len(v) >= 8), key=lambda kv: (-counts[kv[0]], kv[0]))
@@ -49,18 +49,22 @@ def learn_dictionaries(docs: DataFrame, *, id_col: str = "doc_id", text_col: str
 def compressors(dictionaries: list[tuple[str, bytes]]):
     import zstandard
 
+    # letters repeat in short groups, so matches of four bytes must count
+    how = zstandard.ZstdCompressionParameters.from_level(
+        3, strategy=zstandard.STRATEGY_LAZY, min_match=SHORTEST_MATCH, search_log=3, write_content_size=0, write_checksum=0, write_dict_id=0
+    )
     out = []
     for _, content in dictionaries:
         d = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-        d.precompute_compress(level=LEVEL)
-        out.append(zstandard.ZstdCompressor(dict_data=d, level=LEVEL, write_content_size=False, write_checksum=False, write_dict_id=False))
+        d.precompute_compress(compression_params=how)
+        out.append(zstandard.ZstdCompressor(dict_data=d, compression_params=how))
     return out
 
 
 def judge(text: str | None, names: list[str], coders) -> tuple[str, float, bool]:
     if not names or text is None or not _LETTER.search(text):
         return "und", 0.0, True
-    data = text.encode()
+    data = text.lower().encode()
     blocks = [data[i : i + BLOCK] for i in range(0, len(data), BLOCK)]
     sizes = [sum(len(c.compress(b)) for b in blocks) for c in coders]
     best = min(range(len(sizes)), key=sizes.__getitem__)

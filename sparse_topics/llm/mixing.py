@@ -3,8 +3,8 @@
 Each source gets a word budget. Whole repeats are given to every document; the rest of the budget is filled by
 hash order: words are summed by source and hash bucket, the bucket in which the running sum passes the budget is
 found, and only that bucket is divided further (twelve hash bits a level, three levels). A document is in the mix if
-its hash lies under its source's threshold: no sort, no rank, no row gathered anywhere. A second, nested round fills
-what the first threshold left over with later documents that still fit, and the last unit is taken if that brings the
+its hash lies under its source's threshold: no sort, no rank, no row gathered anywhere. Further, nested rounds fill
+what the threshold before left over with later documents that still fit, and the last unit is taken if that brings the
 sum nearer to the budget.
 
 Defined results: a null text has size 0; a null source is a source of its own, ordered last; rows with equal (or null)
@@ -22,7 +22,7 @@ from .common import hash60, remove, source_key, word_count, write_table, written
 
 BITS, LEVELS, PREFIX = 12, 3, 24  # 60 hash bits; the finest unit is the hash without its last PREFIX bits
 SOURCE_BOUND = 100_000
-ROUNDS = 2
+ROUNDS = 3
 
 
 def sized(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
@@ -141,6 +141,18 @@ def mix_rows(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     return taken.select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy")).select("row.*")
 
 
+def _sql_round(i: int) -> str:
+    """One round over sorted hashes: running sums where the operator has histograms."""
+    j, fits = i - 1, "true" if i == 1 else f"size <= left{i - 1}"
+    last = f" OR (unit = cut{i} AND held{i} - left{i} < left{i})" if i == ROUNDS else ""
+    return f"""a{i} AS (SELECT *, CASE WHEN size > 0 AND unit > cut{j} AND {fits} THEN size ELSE 0 END AS size{i} FROM g{j}),
+b{i} AS (SELECT *, sum(size{i}) OVER (PARTITION BY key ORDER BY unit) AS run{i} FROM a{i}),
+c{i} AS (SELECT key, min(unit) AS cut{i} FROM b{i} WHERE size{i} > 0 AND run{i} > left{j} GROUP BY key),
+e{i} AS (SELECT b{i}.*, cut{i}, left{j} - coalesce(sum(size{i}) FILTER (WHERE unit < cut{i}) OVER (PARTITION BY key), 0) AS left{i},
+    sum(size{i}) FILTER (WHERE unit = cut{i}) OVER (PARTITION BY key) AS held{i} FROM b{i} LEFT JOIN c{i} USING (key)),
+g{i} AS (SELECT *, chosen{j} OR (size{i} > 0 AND (cut{i} IS NULL OR unit < cut{i}{last})) AS chosen{i} FROM e{i})"""
+
+
 SQL = r"""
 WITH d AS (SELECT doc_id, CASE WHEN source IS NULL THEN 't' ELSE 's' || source END AS key,
     CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size,
@@ -152,16 +164,8 @@ l AS (SELECT *, CAST(coalesce(sum(source_size) OVER u, 0) AS BIGINT) AS fs, CAST
 v AS (SELECT *, (CAST(total AS DOUBLE) - 3.0::DOUBLE * fs) / (allw - fw) AS level FROM l),
 t AS (SELECT key, source_size, least(3.0::DOUBLE * source_size, weight * (SELECT level FROM v WHERE level * weight <= 3.0::DOUBLE * source_size ORDER BY fill, key LIMIT 1)) AS target FROM v),
 b AS (SELECT *, CASE WHEN source_size > 0 THEN CAST(floor(target / source_size) AS BIGINT) ELSE 0 END AS repeats FROM t),
-r0 AS (SELECT d.*, source_size, target, repeats, target - repeats * source_size AS left1 FROM d JOIN b USING (key)),
-c1 AS (SELECT *, sum(size) OVER (PARTITION BY key ORDER BY unit) AS run1 FROM r0),
-e1 AS (SELECT key, min(unit) AS cut1 FROM c1 WHERE size > 0 AND run1 > left1 GROUP BY key),
-f1 AS (SELECT c1.*, cut1, left1 - coalesce(sum(size) FILTER (WHERE unit < cut1) OVER (PARTITION BY key), 0) AS left2 FROM c1 LEFT JOIN e1 USING (key)),
-c2 AS (SELECT *, CASE WHEN size > 0 AND unit > cut1 AND size <= left2 THEN size ELSE 0 END AS size2 FROM f1),
-g2 AS (SELECT *, sum(size2) OVER (PARTITION BY key ORDER BY unit) AS run2 FROM c2),
-e2 AS (SELECT key, min(unit) AS cut2 FROM g2 WHERE size2 > 0 AND run2 > left2 GROUP BY key),
-f2 AS (SELECT g2.*, cut2, left2 - coalesce(sum(size2) FILTER (WHERE unit < cut2) OVER (PARTITION BY key), 0) AS left3,
-    sum(size2) FILTER (WHERE unit = cut2) OVER (PARTITION BY key) AS held FROM g2 LEFT JOIN e2 USING (key)),
-o AS (SELECT *, size > 0 AND (cut1 IS NULL OR unit < cut1 OR (size2 > 0 AND (cut2 IS NULL OR unit < cut2 OR (unit = cut2 AND held - left3 < left3)))) AS more FROM f2)
-SELECT doc_id, size, source_size, target, CAST(size * (repeats + CASE WHEN more THEN 1 ELSE 0 END) AS BIGINT) AS taken,
-    CAST(repeats + CASE WHEN more THEN 1 ELSE 0 END AS INTEGER) AS copies FROM o
+g0 AS (SELECT d.*, source_size, target, repeats, target - repeats * source_size AS left0, -1 AS cut0, false AS chosen0 FROM d JOIN b USING (key)),
+""" + ",\n".join(_sql_round(i) for i in range(1, ROUNDS + 1)) + f"""
+SELECT doc_id, size, source_size, target, CAST(size * (repeats + CASE WHEN chosen{ROUNDS} THEN 1 ELSE 0 END) AS BIGINT) AS taken,
+    CAST(repeats + CASE WHEN chosen{ROUNDS} THEN 1 ELSE 0 END AS INTEGER) AS copies FROM g{ROUNDS}
 """

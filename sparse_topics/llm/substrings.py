@@ -141,6 +141,10 @@ def _by_shard(h: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray, np.nd
     return order, s[order][heads] if len(s) else s, heads
 
 
+def _spans(heads: np.ndarray, n: int) -> list[tuple[int, int]]:
+    return list(zip(heads.tolist(), [*heads[1:].tolist(), n][: len(heads)], strict=True))
+
+
 def _bits(x: np.ndarray) -> bytes:
     return np.packbits(x).tobytes()
 
@@ -187,7 +191,7 @@ def _ask_minimizers(shards: int):
             for r in b.to_pylist():
                 h, several, _ = Page(r["ids"], r["lens"], r["data"]).minimizers()
                 order, numbers, heads = _by_shard(h, shards)
-                parts = [order[a:z] for a, z in zip(heads, [*heads[1:], len(order)], strict=True)]
+                parts = [order[a:z] for a, z in _spans(heads, len(order))]
                 if parts:
                     yield pa.RecordBatch.from_arrays([pa.array(numbers), pa.array([r["page"]] * len(parts)), pa.array([h[p].tobytes() for p in parts], pa.binary()), pa.array([_bits(several[p]) for p in parts], pa.binary())], ["shard", "page", "hashes", "several"])
 
@@ -233,7 +237,7 @@ class Asked:
         order, numbers, heads = _by_shard(h, shards)
         shared, hot = np.zeros(len(h), bool), np.zeros(len(h), bool)
         by = {a["shard"]: a for a in answers}
-        for s, a, z in zip(numbers.tolist(), heads, [*heads[1:], len(order)], strict=True):
+        for s, (a, z) in zip(numbers.tolist(), _spans(heads, len(order)), strict=True):
             if s in by:
                 shared[order[a:z]], hot[order[a:z]] = _unbits(by[s]["shared"], z - a), _unbits(by[s]["hot"], z - a)
         want = np.flatnonzero(shared[place])

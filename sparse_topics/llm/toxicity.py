@@ -1,11 +1,12 @@
 """Toxicity by weak supervision.
 
-Voters: one for each word of a mined lexicon (words whose share among toxic rows of the bounded labelled sample is
-higher than among the others, by smoothed log-odds), and pattern voters over the whole text (runs of symbols, capitals,
-exclamation marks, second-person insults in quotes and the like). The generative label model treats a row's votes as
-drawn from its hidden class: expectation-maximisation estimates how often each voter speaks in either class (its
-accuracy), and the votes' leftover correlations within the classes discount voters that repeat each other. A logistic
-regression over the voters' outputs is then trained on the posterior labels, and scores every document.
+Voters: one for each entry of a mined lexicon (words and word stems whose share among toxic rows of the bounded
+labelled sample is higher than among the others, by smoothed log-odds; each entry taken is the strongest for the toxic
+rows that few earlier ones cover), voters on how dense the lexicon's words stand, and pattern voters over the whole text
+(runs of symbols, exclamation marks, capitals, table cells). The generative label model treats a row's votes as drawn
+from its hidden class: expectation-maximisation estimates how often each voter speaks in either class (its accuracy),
+and the votes' leftover correlations within the classes discount voters that repeat each other. A logistic regression
+over the voters' outputs and the density is then trained on the posterior labels, and scores every document.
 
 The fit uses at most ``PER_CLASS`` rows a class. Defined results: null, empty and wordless texts have no votes and get
 the score of a text on which no voter speaks; with nothing to learn from every score is 0; repeated rows each get a
@@ -21,7 +22,11 @@ from dataclasses import dataclass
 
 import numpy as np
 
-PER_CLASS, LEXICON, LEAST_ROWS, LEAST_ODDS, ROUNDS = 3000, 120, 3, 2.0, 15
+PER_CLASS, LEXICON, LEAST_ROWS, LEAST_ODDS, LEAST_Z, ROUNDS = 3000, 60, 4, 1.5, 4.0, 15
+COVER = 8  # a row that so many entries cover lends its weight to no further one
+GIVEN = 0.98  # the accuracy a label is trusted with
+STEMS = (5, 6, 7, 8)
+DENSITIES = (0.004, 0.008, 0.012)
 
 _WORDS = re.compile(r"[^\W\d_]+")
 PATTERNS = {
@@ -33,21 +38,47 @@ PATTERNS = {
 }
 
 
+def _entries(text: str | None) -> set[str]:
+    """What the lexicon could hold of a text: whole words (with a closing mark) and stems."""
+    out = set()
+    for w in set(_WORDS.findall((text or "").lower())):
+        if len(w) >= 4:
+            out.add(w + "$")
+            out.update(w[:n] for n in STEMS if len(w) >= n)
+    return out
+
+
+def _strength(c1: int, c0: int, n1: int, n0: int) -> float:
+    """Log-odds lift over its standard error; 0 where the lift is too small."""
+    p, q = (c1 + 0.5) / (n1 + 1), (c0 + 0.5) / (n0 + 1)
+    lift = math.log(p / (1 - p)) - math.log(q / (1 - q))
+    return lift / math.sqrt(1 / (c1 + 0.5) + 1 / (c0 + 0.5)) if lift >= LEAST_ODDS else 0.0
+
+
 def lexicon(sample: list[tuple[str | None, int]]) -> list[str]:
-    """Words that speak for label 1, strongest first."""
-    seen: dict[int, Counter] = {0: Counter(), 1: Counter()}
-    rows = Counter(y for _, y in sample)
-    for text, y in sample:
-        seen[y].update(set(_WORDS.findall((text or "").lower())))
-    odds = {}
-    for w, c in seen[1].items():
-        if c >= LEAST_ROWS:
-            p, q = (c + 0.5) / (rows[1] + 1), (seen[0][w] + 0.5) / (rows[0] + 1)
-            lift = math.log(p / (1 - p)) - math.log(q / (1 - q)) if p < 1 and q < 1 else 0.0
-            spread = math.sqrt(1 / (c + 0.5) + 1 / (seen[0][w] + 0.5))
-            if lift >= LEAST_ODDS and lift / spread >= 3:
-                odds[w] = lift / spread
-    return sorted(odds, key=lambda w: (-odds[w], w))[:LEXICON]
+    """Words and stems that speak for label 1, strongest first, none the start of another."""
+    toxic = [t for t, y in sample if y]
+    clean = [t for t, y in sample if not y]
+    often = Counter(e for t in toxic for e in _entries(t))
+    often = {e for e, c in often.items() if c >= LEAST_ROWS}
+    against = Counter(e for t in clean for e in _entries(t) & often)
+    good = {e for e in often if against[e] <= 0.2 * len(clean)}
+    rows: dict[str, set[int]] = {}
+    for i, t in enumerate(toxic):
+        for e in _entries(t) & good:
+            rows.setdefault(e, set()).add(i)
+    n1, n0 = len(toxic), len(clean)
+    rows = {e: r for e, r in rows.items() if _strength(len(r), against[e], n1, n0) >= LEAST_Z}
+    out: list[str] = []
+    times: Counter = Counter()
+    akin = lambda a, b: a.startswith(b.rstrip("$")) or b.startswith(a.rstrip("$"))
+    while rows and len(out) < LEXICON:
+        best = max(rows, key=lambda e: (_strength(len(rows[e]), against[e], n1, n0), len(e), e))
+        out.append(best)
+        times.update(rows[best])
+        full = {i for i in rows[best] if times[i] >= COVER}
+        rows = {e: left for e, r in rows.items() if not akin(e, best) and _strength(len(left := r - full), against[e], n1, n0) >= LEAST_Z}
+    return out
 
 
 @dataclass
@@ -57,15 +88,29 @@ class ToxicityModel:
     bias: float
 
     def votes(self, texts: list[str | None]) -> np.ndarray:
-        out = np.zeros((len(texts), len(self.words) + len(PATTERNS) + 1), np.float64)
+        n = len(self.words)
+        out = np.zeros((len(texts), n + len(DENSITIES) + len(PATTERNS) + 3), np.float64)
         for i, text in enumerate(texts):
             text = text or ""
-            hits = self.words.keys() & set(_WORDS.findall(text.lower()))
-            for w in hits:
-                out[i, self.words[w]] = 1.0
-            for j, p in enumerate(PATTERNS.values(), len(self.words)):
+            said = Counter(_WORDS.findall(text.lower()))
+            hits = 0
+            for w, c in said.items():
+                entry = self.words.get(w + "$", -1)
+                for k in STEMS:
+                    if entry >= 0 or len(w) < k:
+                        break
+                    entry = self.words.get(w[:k], -1)
+                if entry >= 0:
+                    out[i, entry] = 1.0
+                    hits += c
+            dense = hits / max(20, sum(said.values()))
+            for j, d in enumerate(DENSITIES, n):
+                out[i, j] = dense >= d
+            for j, p in enumerate(PATTERNS.values(), n + len(DENSITIES)):
                 out[i, j] = p.search(text) is not None
-            out[i, -1] = not hits
+            out[i, -3] = not hits
+            out[i, -2] = hits >= 2
+            out[i, -1] = min(3.0, 100 * dense)
         return out
 
     def score(self, texts: list[str | None]) -> np.ndarray:
@@ -73,9 +118,10 @@ class ToxicityModel:
         return 1.0 / (1.0 + np.exp(-z))
 
 
-def label_model(votes: np.ndarray, start: np.ndarray, prior: float) -> np.ndarray:
-    """Posterior of class 1 for each row. start: first guess of the posterior."""
-    post = np.clip(start, 0.05, 0.95)
+def label_model(votes: np.ndarray, given: np.ndarray, prior: float) -> np.ndarray:
+    """Posterior of class 1 for each row. given: the row's label, one more voter, of fixed accuracy."""
+    post = np.clip(given, 1 - GIVEN, GIVEN)
+    spoken = (2 * given - 1) * math.log(GIVEN / (1 - GIVEN))
     for _ in range(ROUNDS):
         w1, w0 = post, 1 - post
         p1 = (votes.T @ w1 + 0.5) / (w1.sum() + 1)
@@ -88,7 +134,7 @@ def label_model(votes: np.ndarray, start: np.ndarray, prior: float) -> np.ndarra
         np.fill_diagonal(corr, 0)
         voice = 1.0 / (1.0 + np.where(corr > 0.1, corr, 0).sum(1))
         said, silent = np.log(p1 / p0) * voice, np.log((1 - p1) / (1 - p0)) * voice
-        z = votes @ (said - silent) + silent.sum() + math.log(prior / (1 - prior))
+        z = votes @ (said - silent) + silent.sum() + spoken + math.log(prior / (1 - prior))
         post = 1 / (1 + np.exp(-np.clip(z, -40, 40)))
     return post
 
@@ -112,13 +158,13 @@ def logistic(x: np.ndarray, y: np.ndarray, row_weight: np.ndarray, ridge: float
 
 def fit(sample: list[tuple[str | None, int]], counts: dict[int, int]) -> ToxicityModel:
     words = {w: i for i, w in enumerate(lexicon(sample))}
-    model = ToxicityModel(words, np.zeros(len(words) + len(PATTERNS) + 1), -40.0)
+    model = ToxicityModel(words, np.zeros(len(words) + len(DENSITIES) + len(PATTERNS) + 3), -40.0)
     gold = np.array([y for _, y in sample], np.float64)
     if not len(gold) or gold.min() == gold.max():
         model.bias = 40.0 if len(gold) and gold.min() == 1 else -40.0
         return model
     votes = model.votes([t for t, _ in sample])
-    posterior = label_model(votes, gold, gold.mean())
+    posterior = label_model(votes[:, :-1], gold, gold.mean())  # the last column is no vote
     taken = Counter(int(y) for y in gold)
     rate = np.array([counts[int(y)] / taken[int(y)] for y in gold])
     model.weights, model.bias = logistic(votes, posterior, rate / rate.mean())
