@@ -1,0 +1 @@
+"""Sparse topic factorisation of large non-negative count matrices on Spark."""
