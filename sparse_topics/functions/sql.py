@@ -1,7 +1,5 @@
 """Functions for SQL users: temporary SQL functions, a table function for tokens, an aggregate as a second form."""
 
-from __future__ import annotations
-
 import re
 
 from pyspark.sql import SparkSession

@@ -139,6 +139,7 @@ def sparse_als(
         if revive == "reseed" and (np.diag(gram_u) == 0).any():
             new = _revived(td, new, np.flatnonzero(np.diag(gram_u) == 0).tolist(), seed + i)
             gram_u = linalg.gram(new)
+            new.count()
         residual = change(new, u) if measure or tol else float("nan")
         u = new
         peak = max(peak, u.nnz + v.nnz)
