@@ -94,3 +94,36 @@ def column_or_null(df: DataFrame, name: str, kind: str) -> Column:
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+
+
+def file_system(uri: str):
+    """(file system, path) of a folder that all executors reach."""
+    from pyarrow import fs
+
+    return fs.FileSystem.from_uri(uri)
+
+
+def make_folder(spark: SparkSession, uri: str) -> None:
+    p = spark._jvm.org.apache.hadoop.fs.Path(uri)
+    p.getFileSystem(spark._jsc.hadoopConfiguration()).mkdirs(p)
+
+
+class TaskFile:
+    """A file that one task writes into a shared folder: under a name of the attempt, renamed when whole, so that a
+    repeated task replaces it with the same bytes."""
+
+    def __init__(self, uri: str, name: str, attempt: int):
+        self.fs, base = file_system(uri)
+        self.final, self.temp = f"{base}/{name}", f"{base}/.{name}.{attempt}"
+        self.out, self.size = self.fs.open_output_stream(self.temp), 0
+
+    def write(self, data: bytes) -> int:
+        """Appends; gives the offset of what was written."""
+        at = self.size
+        self.out.write(data)
+        self.size += len(data)
+        return at
+
+    def close(self) -> None:
+        self.out.close()
+        self.fs.move(self.temp, self.final)

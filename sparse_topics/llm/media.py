@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fresh_path, small_batches, written
+from .common import TaskFile, file_system, fresh_path, make_folder, small_batches, written
 
 BLOCK = 576
 SHARD_BYTES = 512 << 20
@@ -76,39 +76,25 @@ def feature(payload: bytes) -> str:
     return f"mean={x.mean():.6f};std={x.std():.6f};hist=" + ",".join(map(str, bins.tolist()))
 
 
-def _file_system(uri: str):
-    from pyarrow import fs
-
-    return fs.FileSystem.from_uri(uri)
-
-
-class _Shard:
-    def __init__(self, uri: str, name: str, attempt: str):
-        self.fs, base = _file_system(uri)
-        self.final, self.temp = f"{base}/{name}", f"{base}/.{name}.{attempt}"
-        self.out, self.size = self.fs.open_output_stream(self.temp), 0
+class _Shard(TaskFile):
+    """A tar file; ``add`` gives the offset of the member's bytes."""
 
     def add(self, name: str, data: bytes) -> int:
         info = tarfile.TarInfo(name)
         info.size = len(data)
-        self.out.write(info.tobuf(tarfile.USTAR_FORMAT))
-        at = self.size + tarfile.BLOCKSIZE
-        self.out.write(data + b"\0" * (-len(data) % tarfile.BLOCKSIZE))
-        self.size = at + len(data) + -len(data) % tarfile.BLOCKSIZE
-        return at
+        self.write(info.tobuf(tarfile.USTAR_FORMAT))
+        return self.write(data + b"\0" * (-len(data) % tarfile.BLOCKSIZE))
 
     def close(self) -> None:
-        self.out.write(b"\0" * 2 * tarfile.BLOCKSIZE)
-        self.out.close()
-        self.fs.move(self.temp, self.final)
+        self.write(b"\0" * 2 * tarfile.BLOCKSIZE)
+        super().close()
 
 
 def store(docs: DataFrame, folder: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Writes the payloads of ``docs`` into tar shards in ``folder`` (a URI that all executors reach); gives the rows."""
     spark = docs.sparkSession
     small_batches(spark)
-    p = spark._jvm.org.apache.hadoop.fs.Path(folder)
-    p.getFileSystem(spark._jsc.hadoopConfiguration()).mkdirs(p)
+    make_folder(spark, folder)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -126,7 +112,7 @@ def store(docs: DataFrame, folder: str, *, id_col: str = "doc_id", text_col: str
                         shard.close()
                         shard, seq = None, seq + 1
                     name = f"part-{task.partitionId():06d}-{seq:04d}.tar"
-                    shard = shard or _Shard(folder, name, f"{task.taskAttemptId()}")
+                    shard = shard or _Shard(folder, name, task.taskAttemptId())
                     media = encode(payload)
                     known[key] = (name, shard.add(f"{digest}.png", media), len(media))
                 for c, v in zip(cols, (n, digest, *known[key]), strict=True):
@@ -149,7 +135,7 @@ def read_back(at: DataFrame, folder: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = [f.split()[0] for f in READ_SCHEMA.split(", ")]
-        fs, base = _file_system(folder)
+        fs, base = file_system(folder)
         open_name, file = None, None
         for b in batches:
             out = []

@@ -4,14 +4,14 @@ A byte goes if a string of ``LENGTH`` bytes covers it that also starts in a docu
 
 How it is dealt out. Every window of LENGTH bytes has a minimizer, its K-gram of least hash; equal windows have equal
 minimizers, so windows that share a minimizer form a segment and segments can be dealt to shards by it. Documents are
-packed into compressed pages. (1) Each page sends the distinct minimizers of its windows, as plain hashes, to the
+packed into compressed pages, kept in files of the shared folder and fetched by range. (1) Each page sends the distinct minimizers of its windows, as plain hashes, to the
 shards; the shards answer with one bit for each: does it occur in more than one document? (2) Pages send the segments
 whose minimizer does, each different one once with its smallest doc_id. A shard builds the transform of its different
 segments and expands all intervals breadth-first by backward extension: after step l the interval borders are those
 rows whose common prefix with the row above is below l, so common prefixes come out by increasing value, and the
 expansion ends at LENGTH. The intervals left are the windows with equal bytes; each gets its smallest doc_id. A
 minimizer whose segments are all the same bytes needs no expansion beyond that merge. (3) The shards answer with one
-bit for each window, and pages mark what goes. All that moves besides the pages is hashes, bits and segments that
+bit for each window, and pages mark what goes. All that moves is hashes, bits and segments that
 repeat; a passage in very many documents moves once a page; the segments of a minimizer that lies in more than
 ``HOT_PAGES`` pages are dealt by the windows' own hash.
 
@@ -29,16 +29,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import release, small_batches, write_table
+from .common import TaskFile, file_system, fresh_path, make_folder, release, small_batches, written
 
 LENGTH, K = 50, 16
 PAGE_BYTES = 1 << 20
-SHARD_BYTES = 24 << 20
+SHARD_BYTES = 6 << 20
+PAGES_A_TASK = 8
 HOT_PAGES = 20_000
 NULL_ID = (1 << 63) - 1
 _POSITION_BITS = 23
 _CHUNK = (1 << _POSITION_BITS) - LENGTH
-PAGES = "page long, ids binary, lens binary, data binary, n_bytes long"
+PAGES = "page long, ids binary, lens binary, file string, offset long, length long, n_bytes long"
 
 
 def _pack(level: int = 3):
@@ -156,44 +157,64 @@ def _unbits(b: bytes, n: int) -> np.ndarray:
 # ---- step 0: pages --------------------------------------------------------------------------------------------------
 
 
-def pages_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+def pages_of(docs: DataFrame, folder: str, id_col: str, text_col: str) -> DataFrame:
+    """Writes the pages into files under ``folder``; gives the index of the pages."""
+    make_folder(docs.sparkSession, folder)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        part, seq, ids, texts, size = TaskContext.get().partitionId(), 0, [], [], 0
-        pack = _pack()
+        task = TaskContext.get()
+        part, ids, texts, size, out = task.partitionId(), [], [], 0, []
+        name, file, pack = f"pages-{part:06d}", None, _pack()
 
         def page():
             data = b"".join(texts)
+            packed = pack(data)
             lens = np.array([len(x) for x in texts], np.int64)
-            return pa.RecordBatch.from_arrays([pa.array([(part << 32) + seq]), *[pa.array([x], pa.binary()) for x in (np.array(ids, np.int64).tobytes(), lens.tobytes(), pack(data))], pa.array([len(data)])], ["page", "ids", "lens", "data", "n_bytes"])
+            out.append(((part << 32) + len(out), np.array(ids, np.int64).tobytes(), lens.tobytes(), name, file.write(packed), len(packed), len(data)))
 
         for b in batches:
             for i, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 text = (t.as_py() or "").encode()
+                file = file or TaskFile(folder, name, task.taskAttemptId())
                 if texts and size + len(text) > PAGE_BYTES:
-                    yield page()
-                    seq, ids, texts, size = seq + 1, [], [], 0
+                    page()
+                    ids, texts, size = [], [], 0
                 ids.append(NULL_ID if i is None else i), texts.append(text)
                 size += len(text)
         if texts:
-            yield page()
+            page()
+        if file:
+            file.close()
+            kinds = (pa.int64(), pa.binary(), pa.binary(), pa.string(), pa.int64(), pa.int64(), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], [f.split()[0] for f in PAGES.split(", ")])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, PAGES)
 
 
+def _fetched(folder: str, batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[dict, Page]]:
+    """Each row with its page, read by range."""
+    fs, base = file_system(folder)
+    name, file = None, None
+    for b in batches:
+        for r in b.to_pylist():
+            if r["file"] != name:
+                name, file = r["file"], fs.open_input_file(f"{base}/{r['file']}")
+            yield r, Page(r["ids"], r["lens"], file.read_at(r["length"], r["offset"]))
+
+
 # ---- step 1: which minimizers repeat --------------------------------------------------------------------------------
 
 
-def _ask_minimizers(shards: int):
+def _ask_minimizers(shards: int, folder: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for r in b.to_pylist():
-                h, several, _ = Page(r["ids"], r["lens"], r["data"]).minimizers()
-                order, numbers, heads = _by_shard(h, shards)
-                parts = [order[a:z] for a, z in _spans(heads, len(order))]
-                if parts:
-                    yield pa.RecordBatch.from_arrays([pa.array(numbers), pa.array([r["page"]] * len(parts)), pa.array([h[p].tobytes() for p in parts], pa.binary()), pa.array([_bits(several[p]) for p in parts], pa.binary())], ["shard", "page", "hashes", "several"])
+        for r, page in _fetched(folder, batches):
+            h, several, _ = page.minimizers()
+            order, numbers, heads = _by_shard(h, shards)
+            parts = [order[a:z] for a, z in _spans(heads, len(order))]
+            if parts:
+                yield pa.RecordBatch.from_arrays([pa.array(numbers), pa.array([r["page"]] * len(parts)), pa.array([h[p].tobytes() for p in parts], pa.binary()), pa.array([_bits(several[p]) for p in parts], pa.binary())], ["shard", "page", "hashes", "several"])
 
     return run
 
@@ -266,19 +287,18 @@ class Asked:
                 self.found.append((p, q, d, s, number))
 
 
-def _ask_segments(shards: int):
+def _ask_segments(shards: int, folder: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pack = _pack()
-        for b in batches:
-            for r in b.to_pylist():
-                asked = Asked(Page(r["ids"], r["lens"], r["data"]), r["answers"], shards)
-                out = [
-                    (s, r["page"], pack(b"".join(segs)), np.array([len(x) for x in segs], np.uint16).tobytes(), np.array(asked.hashes[s], np.uint64).tobytes(), np.array(asked.least[s], np.int64).tobytes())
-                    for s, segs in asked.lists.items()
-                ]
-                if out:
-                    cols = list(zip(*out, strict=True))
-                    yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), *[pa.array(c, pa.binary()) for c in cols[2:]]], ["shard", "page", "segs", "lens", "hashes", "least"])
+        for r, page in _fetched(folder, batches):
+            asked = Asked(page, r["answers"], shards)
+            out = [
+                (s, r["page"], pack(b"".join(segs)), np.array([len(x) for x in segs], np.uint16).tobytes(), np.array(asked.hashes[s], np.uint64).tobytes(), np.array(asked.least[s], np.int64).tobytes())
+                for s, segs in asked.lists.items()
+            ]
+            if out:
+                cols = list(zip(*out, strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), *[pa.array(c, pa.binary()) for c in cols[2:]]], ["shard", "page", "segs", "lens", "hashes", "least"])
 
     return run
 
@@ -311,15 +331,17 @@ def equal_windows(t: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
     """
     order = suffix_order(t)
     bwt = t[order - 1]
-    back = np.argsort(bwt, kind="stable")
+    back = np.argsort(bwt, kind="stable").astype(np.int32)
     symbols = bwt[back]
     other = np.r_[True, symbols[1:] != symbols[:-1]]
-    interval = np.cumsum(other)
+    interval = np.cumsum(other, dtype=np.int32)
+    border, came = np.empty_like(other), np.empty_like(interval)
     for _ in range(1, length):
-        came = interval[back]
-        border = other.copy()
-        border[1:] |= came[1:] != came[:-1]
-        new = np.cumsum(border)
+        np.take(interval, back, out=came, mode="clip")
+        border[0] = True
+        np.not_equal(came[1:], came[:-1], out=border[1:])
+        border |= other
+        new = np.cumsum(border, dtype=np.int32)
         if new[-1] == interval[-1]:
             # no interval was divided: no common prefix has just this value, and none has a larger one
             return order, new
@@ -378,71 +400,86 @@ def _answer_segments(table: pa.Table) -> pa.Table:
 
 def covered(page: Page, asked: Asked, answers: dict[int, bytes]) -> np.ndarray:
     """A flag for each byte of the page: it goes."""
-    step = np.zeros(len(page.data) + 1, np.int32)
-    offsets, earlier = {}, {}
-    for s, segs in asked.lists.items():
-        n = np.fromiter((len(x) - LENGTH + 1 for x in segs), np.int64, len(segs))
-        offsets[s] = (np.cumsum(n) - n).tolist()
-        earlier[s] = _unbits(answers[s], int(n.sum()))
-    ids = page.ids.tolist()
-    for a, z, d, s, number in asked.found:
-        if ids[d] > asked.least[s][number]:
-            step[a] += 1
-            step[z] -= 1
-        else:
-            at = offsets[s][number]
-            flags = earlier[s][at : at + z - a - LENGTH + 1]
-            if flags.any():
-                on = np.flatnonzero(flags)
-                step[a + on] += 1
-                step[a + on + LENGTH] -= 1
+    size = len(page.data)
+    step = np.zeros(size + 1, np.int32)
+    if not asked.found:
+        return step[:-1] > 0
+    start, stop, doc, shard, number = np.array(asked.found, np.int64).T
+    # the answers of all shards end to end: where each listed segment's windows begin in them
+    shards = sorted(asked.lists)
+    windows = [np.fromiter((len(x) - LENGTH + 1 for x in asked.lists[s]), np.int64, len(asked.lists[s])) for s in shards]
+    earlier = np.concatenate([_unbits(answers[s], int(n.sum())) for s, n in zip(shards, windows, strict=True)])
+    first = np.cumsum(np.concatenate(windows)) - np.concatenate(windows)
+    listed = np.zeros(max(shards) + 1, np.int64)
+    listed[shards] = np.cumsum([0, *map(len, windows[:-1])])
+    segment = listed[shard] + number
+    least = np.concatenate([np.array(asked.least[s], np.int64) for s in shards])[segment]
+    whole = page.ids[doc] > least
+    np.add.at(step, start[whole], 1)
+    np.add.at(step, stop[whole], -1)
+    start, n, at = start[~whole], (stop - start)[~whole] - LENGTH + 1, first[segment][~whole]
+    if len(n):
+        inside = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        on = (np.repeat(start, n) + inside)[earlier[np.repeat(at, n) + inside]]
+        np.add.at(step, on, 1)
+        np.add.at(step, on + LENGTH, -1)
     return np.cumsum(step[:-1]) > 0
 
 
 OUT = "doc_id long, n_bytes long, n_removed long, spans array<struct<start:long,stop:long>>, kept binary"
 
 
-def _mark(shards: int):
+def _mark(shards: int, folder: str):
     span = pa.struct([("start", pa.int64()), ("stop", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for r in b.to_pylist():
-                page = Page(r["ids"], r["lens"], r["data"])
-                gone = np.zeros(len(page.data), bool)
-                if r["earlier"]:
-                    gone = covered(page, Asked(page, r["answers"], shards), {x["shard"]: x["earlier"] for x in r["earlier"]})
-                n, removed, spans, kept = [], [], [], []
-                for a, z in zip(page.starts.tolist(), page.stops.tolist(), strict=True):
-                    flags = gone[a:z]
-                    edge = np.flatnonzero(np.diff(np.r_[False, flags, False]))
-                    n.append(z - a), removed.append(int(flags.sum()))
-                    spans.append([{"start": x, "stop": y} for x, y in edge.reshape(-1, 2).tolist()])
-                    kept.append(page.bytes[a:z][~flags].tobytes())
-                ids = [None if i == NULL_ID else i for i in page.ids.tolist()]
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(n, pa.int64()), pa.array(removed, pa.int64()), pa.array(spans, pa.list_(span)), pa.array(kept, pa.binary())], ["doc_id", "n_bytes", "n_removed", "spans", "kept"])
+        for r, page in _fetched(folder, batches):
+            gone = np.zeros(len(page.data), bool)
+            if r["earlier"]:
+                gone = covered(page, Asked(page, r["answers"], shards), {x["shard"]: x["earlier"] for x in r["earlier"]})
+            n, removed, spans, kept = [], [], [], []
+            for a, z in zip(page.starts.tolist(), page.stops.tolist(), strict=True):
+                flags = gone[a:z]
+                edge = np.flatnonzero(np.diff(np.r_[False, flags, False]))
+                n.append(z - a), removed.append(int(flags.sum()))
+                spans.append([{"start": x, "stop": y} for x, y in edge.reshape(-1, 2).tolist()])
+                kept.append(page.bytes[a:z][~flags].tobytes())
+            ids = [None if i == NULL_ID else i for i in page.ids.tolist()]
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(n, pa.int64()), pa.array(removed, pa.int64()), pa.array(spans, pa.list_(span)), pa.array(kept, pa.binary())], ["doc_id", "n_bytes", "n_removed", "spans", "kept"])
 
     return run
 
 
+def _dealt(index: DataFrame, n_pages: int) -> DataFrame:
+    """The index over enough tasks: its rows are small, the pages they stand for are not."""
+    return index.repartition(max(index.sparkSession.sparkContext.defaultParallelism, -(-n_pages // PAGES_A_TASK)), "page")
+
+
+def _shared_minimizers(index: DataFrame, folder: str, shards: int, hot_pages: int) -> DataFrame:
+    asked = index.mapInArrow(_ask_minimizers(shards, folder), "shard long, page long, hashes binary, several binary")
+    answer = asked.groupBy("shard").applyInArrow(_answer_minimizers(hot_pages), "page long, shard long, shared binary, hot binary")
+    return written(answer.groupBy("page").agg(F.collect_list(F.struct("shard", "shared", "hot")).alias("answers")), "answers")
+
+
+def _earlier_windows(index: DataFrame, folder: str, shards: int) -> DataFrame:
+    asked = index.mapInArrow(_ask_segments(shards, folder), "shard long, page long, segs binary, lens binary, hashes binary, least binary")
+    earlier = asked.groupBy("shard").applyInArrow(_answer_segments, "page long, shard long, earlier binary")
+    return written(earlier.groupBy("page").agg(F.collect_list(F.struct("shard", "earlier")).alias("earlier")), "earlier")
+
+
 def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shard_bytes: int = SHARD_BYTES, hot_pages: int = HOT_PAGES) -> DataFrame:
     """(doc_id, n_bytes, n_removed, spans, kept) for each document; kept holds the bytes that stay."""
     spark = docs.sparkSession
     small_batches(spark)
-    pages, _ = write_table(pages_of(docs, id_col, text_col), "pages")
-    total = pages.agg(F.sum("n_bytes")).first()[0] or 0
+    folder = fresh_path(spark, "pages")
+    index = written(pages_of(docs, folder, id_col, text_col), "page-index")
+    n_pages, total = index.agg(F.count(F.lit(1)), F.coalesce(F.sum("n_bytes"), F.lit(0))).first()
     shards = max(2 * spark.sparkContext.defaultParallelism, -(-total // shard_bytes))
-    small_batches(spark, 4)  # a page is a row from here on
-    cols = ["page", "ids", "lens", "data"]
-    asked = pages.select(*cols).mapInArrow(_ask_minimizers(shards), "shard long, page long, hashes binary, several binary")
-    answer = asked.groupBy("shard").applyInArrow(_answer_minimizers(hot_pages), "page long, shard long, shared binary, hot binary")
-    answer, _ = write_table(answer.groupBy("page").agg(F.collect_list(F.struct("shard", "shared", "hot")).alias("answers")), "answers")
-    with_answers = pages.select(*cols).join(answer, "page", "left").withColumn("answers", F.coalesce("answers", F.array()))
+    small_batches(spark, 4)  # a row stands for a page from here on
+    answer = _shared_minimizers(_dealt(index, n_pages), folder, shards, hot_pages)
     release(spark)
-    asked = with_answers.mapInArrow(_ask_segments(shards), "shard long, page long, segs binary, lens binary, hashes binary, least binary")
-    earlier = asked.groupBy("shard").applyInArrow(_answer_segments, "page long, shard long, earlier binary")
-    earlier, _ = write_table(earlier.groupBy("page").agg(F.collect_list(F.struct("shard", "earlier")).alias("earlier")), "earlier")
+    index = index.join(answer, "page", "left").withColumn("answers", F.coalesce("answers", F.array()))
+    earlier = _earlier_windows(_dealt(index, n_pages), folder, shards)
     release(spark)
-    return with_answers.join(earlier, "page", "left").withColumn("earlier", F.coalesce("earlier", F.array())).mapInArrow(_mark(shards), OUT)
-
-
+    index = index.join(earlier, "page", "left").withColumn("earlier", F.coalesce("earlier", F.array()))
+    return _dealt(index, n_pages).mapInArrow(_mark(shards, folder), OUT)
