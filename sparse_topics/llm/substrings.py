@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from .common import TaskFile, file_system, fresh_path, make_folder, release, small_batches, written
 
-LENGTH, K = 50, 16
+LENGTH, K = 50, 24  # K: a multiple of 8
 PAGE_BYTES = 1 << 20
 SHARD_BYTES = 6 << 20
 PAGES_A_TASK = 8
@@ -62,9 +62,12 @@ def _grams(t: np.ndarray) -> np.ndarray:
     b = t.astype(np.uint64)
     for shift in (1, 2, 4):
         b = b[:-shift] | (b[shift:] << np.uint64(8 * shift))
-    h = b[:-8] * np.uint64(0x9E3779B97F4A7C15)
-    h ^= h >> np.uint64(29)
-    h += b[8:] * np.uint64(0xC2B2AE3D27D4EB4F)
+    n = len(t) - K + 1
+    h = b[:n] * np.uint64(0x9E3779B97F4A7C15)
+    for at in range(8, K, 8):
+        h ^= h >> np.uint64(29)
+        h *= np.uint64(0xD6E8FEB86659FD93)
+        h += b[at : at + n] * np.uint64(0xC2B2AE3D27D4EB4F)
     h ^= h >> np.uint64(32)
     h *= np.uint64(0xD6E8FEB86659FD93)
     h ^= h >> np.uint64(29)
@@ -483,3 +486,17 @@ def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     release(spark)
     index = index.join(earlier, "page", "left").withColumn("earlier", F.coalesce("earlier", F.array()))
     return _dealt(index, n_pages).mapInArrow(_mark(shards, folder), OUT)
+
+
+SQL = """
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, hex(encode(coalesce(text, ''))) AS h, CAST(strlen(coalesce(text, '')) AS BIGINT) AS n FROM documents),
+w AS (SELECT rid, doc_id, p, md5(substr(h, 2 * p + 1, 100)) AS k FROM (SELECT rid, doc_id, h, unnest(range(0, greatest(n - 49, 0))) AS p FROM d)),
+f AS (SELECT k, min(doc_id) AS first FROM w GROUP BY k),
+hit AS (SELECT rid, p FROM w JOIN f USING (k) WHERE first < doc_id),
+s AS (SELECT rid, p, CASE WHEN p <= lag(p) OVER (PARTITION BY rid ORDER BY p) + 50 THEN 0 ELSE 1 END AS new FROM hit),
+g AS (SELECT rid, min(p) AS a, max(p) + 50 AS b FROM (SELECT rid, p, sum(new) OVER (PARTITION BY rid ORDER BY p) AS run FROM s) GROUP BY rid, run),
+c AS (SELECT rid, count(*) AS n_spans, CAST(sum(b - a) AS BIGINT) AS n_removed FROM g GROUP BY rid),
+gap AS (SELECT rid, coalesce(lag(b) OVER (PARTITION BY rid ORDER BY a), 0) AS x, a AS y FROM g UNION ALL SELECT rid, coalesce(max(b), 0), max(n) FROM d LEFT JOIN g USING (rid) GROUP BY rid),
+kept AS (SELECT rid, string_agg(substr(h, 2 * x + 1, 2 * (y - x)), '' ORDER BY x) AS k FROM gap JOIN d USING (rid) GROUP BY rid)
+SELECT doc_id, n AS n_bytes, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans, sha256(unhex(k)) AS kept_sha256 FROM d JOIN kept USING (rid) LEFT JOIN c USING (rid)
+"""
