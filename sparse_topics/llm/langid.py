@@ -13,7 +13,6 @@ tables and other columns are fine.
 from __future__ import annotations
 
 import math
-import re
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -26,7 +25,6 @@ SAMPLE_TEXTS, SAMPLE_CHARS, DICT_BYTES = 120, 20_000, 32 << 10
 BLOCK, SHORTEST_MATCH = 4096, 4
 NARROW = 0.01
 SCHEMA = "doc_id long, lang_pred string, score double, rejected boolean"
-_LETTER = re.compile(r"[^\W\d_]")
 
 
 def learn_dictionaries(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> list[tuple[str, bytes]]:
@@ -62,7 +60,7 @@ def compressors(dictionaries: list[tuple[str, bytes]]):
 
 
 def judge(text: str | None, names: list[str], coders) -> tuple[str, float, bool]:
-    if not names or text is None or not _LETTER.search(text):
+    if not names or text is None or not any(map(str.isalpha, text)):
         return "und", 0.0, True
     data = text.lower().encode()
     blocks = [data[i : i + BLOCK] for i in range(0, len(data), BLOCK)]

@@ -79,4 +79,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_mixing": mixing.SQL, "op3_url_filter": urls.SQL, "op8_decontamination": decontaminate.SQL}
+    return {"op1_mixing": mixing.SQL, "op3_url_filter": urls.SQL, "op6_suffix_dedup": substrings.SQL, "op7_sharding": sharding.SQL, "op8_decontamination": decontaminate.SQL}

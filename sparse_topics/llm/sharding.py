@@ -73,10 +73,12 @@ def shard_rows(docs: DataFrame, *, shards: int = 8, id_col: str = "doc_id", sour
 
 
 SQL = r"""
-WITH d AS (SELECT doc_id, CAST(strlen(coalesce(text, '')) + 1 AS BIGINT) AS size, coalesce(text, '') AS text,
-    CASE WHEN source IS NULL THEN 't' ELSE 's' || source END AS key,
+WITH crc AS (SELECT list(list_reduce(range(8), lambda x, i: CASE WHEN x & 1 = 1 THEN xor(x >> 1, 3988292384) ELSE x >> 1 END, n) ORDER BY n) AS t FROM range(256) r(n)),
+d AS (SELECT doc_id, CAST(strlen(coalesce(text, '')) + 1 AS BIGINT) AS size, hex(encode(coalesce(text, ''))) AS h, CASE WHEN source IS NULL THEN 't' ELSE 's' || source END AS key,
     ('0x' || substr(md5('shard:' || coalesce(CAST(doc_id AS VARCHAR), '')), 1, 15))::BIGINT AS hash FROM documents),
-r AS (SELECT *, (2 * (row_number() OVER (PARTITION BY key ORDER BY hash) - 1) + 1)::DOUBLE / (2 * count(*) OVER (PARTITION BY key)) AS frac FROM d),
+r AS (SELECT *, CAST(2 * (row_number() OVER (PARTITION BY key ORDER BY hash) - 1) + 1 AS DOUBLE) / (2 * count(*) OVER (PARTITION BY key)) AS frac FROM d),
 p AS (SELECT *, row_number() OVER (ORDER BY frac, key, hash) - 1 AS place, count(*) OVER () AS n FROM r),
 q AS (SELECT *, CAST(place * 8 // n AS INTEGER) AS shard FROM p)
+SELECT doc_id, size, xor(list_reduce(list_transform(range(0, length(h) // 2), lambda i: CAST('0x' || substr(h, 2 * i + 1, 2) AS BIGINT)), lambda x, b: xor(x >> 8, t[(xor(x, b) & 255) + 1]), 4294967295), 4294967295) AS text_crc32,
+    'rows' AS law, shard, CAST(place - (shard * n + 7) // 8 AS BIGINT) AS slot, CAST(NULL AS INTEGER) AS grown_shard FROM q, crc
 """
