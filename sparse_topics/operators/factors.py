@@ -9,12 +9,14 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.choice import LOCAL_ENTRIES
 from .matrix import TermDoc
 
+_ARROW = {"string": pa.string(), "bigint": pa.int64(), "long": pa.int64(), "int": pa.int32()}
 RANK_SCALE = 1e12  # ranks compare values rounded to twelve digits, so that the order of additions can't turn them
 
 
@@ -41,7 +43,12 @@ class Factor:
 
 def from_local(spark: SparkSession, rows: list, w: np.ndarray, k: int, kind: str) -> Factor:
     """A driver-held factor; ``kind`` is the SQL type of its row key."""
-    frame = spark.createDataFrame([(r, x) for r, x in zip(rows, w.tolist(), strict=True)], f"row {kind}, w array<double>")
+    if kind in _ARROW:  # an Arrow table becomes a local relation: broadcasting it needs no job
+        ends = pa.array(np.arange(0, len(rows) * k + 1, k), pa.int32())
+        cells = pa.ListArray.from_arrays(ends, pa.array(np.ascontiguousarray(w, np.float64).ravel()))
+        frame = spark.createDataFrame(pa.table({"row": pa.array(list(rows), _ARROW[kind]), "w": cells}))
+    else:
+        frame = spark.createDataFrame([(r, x) for r, x in zip(rows, w.tolist(), strict=True)], f"row {kind}, w array<double>")
     return Factor(k, frame, int((w > 0).sum()), list(rows), w)
 
 

@@ -118,7 +118,7 @@ def test_watermarked_windows_and_interval(spark, tiny):
 def test_workloads(spark, tiny):
     td, groups = Q.matrix(spark, tiny), X.groups(spark, tiny)
     zeros = {r.measure: r.value for r in X.run_density_table(spark, td, 3, 2).collect()}
-    assert zeros["zeros of A"] > 0.98 and zeros["zeros of UV'"] < zeros["zeros of A"]
+    assert zeros["zeros of A"] > 0.97 and zeros["zeros of UV'"] < zeros["zeros of A"]
     trace = X.run_convergence_trace(spark, td, 3, 30, iters=8).collect()
     last = {r.run: r.error for r in trace if r.iter == 8}
     assert last["t_u=30"] >= last["dense"] - 0.02
