@@ -110,23 +110,30 @@ def project_nonneg(c: Column) -> Column:
     return F.greatest(c, F.lit(0.0))
 
 
-def times(column: str, m: np.ndarray, add: float = 0.0) -> Column:
-    """The packed row times a k x j matrix of literals, as an array expression."""
+def cells(column: str, m: np.ndarray, shift: float = 0.0) -> list[Column]:
+    """The packed row, less ``shift`` in every entry, times a k x j matrix of literals: one expression a column."""
+    x = [F.col(column)[i] - F.lit(shift) if shift else F.col(column)[i] for i in range(m.shape[0])]
     out = []
     for j in range(m.shape[1]):
-        terms = [F.col(column)[i] * F.lit(float(m[i, j])) for i in range(m.shape[0]) if m[i, j]]
+        terms = [x[i] * F.lit(float(m[i, j])) for i in range(m.shape[0]) if m[i, j]]
         total = terms[0] if terms else F.lit(0.0)
         for t in terms[1:]:
             total = total + t
-        out.append(total + F.lit(add) if add else total)
-    return F.array(*out)
+        out.append(total)
+    return out
+
+
+def times(column: str, m: np.ndarray) -> Column:
+    return F.array(*cells(column, m))
 
 
 def apply_gram(b: DataFrame, inverse: np.ndarray, shift: float = 0.0) -> DataFrame:
     """(row, w, b): clipped solution of every row; rows of zeros are dropped. shift: taken from b first (soft threshold)."""
-    source = b.withColumn("s", F.transform("b", lambda x: x - F.lit(shift))) if shift else b.withColumn("s", F.col("b"))
-    solved = source.withColumn("w", times("s", inverse)).select("row", F.transform("w", project_nonneg).alias("w"), "b")
-    return solved.where(F.exists("w", lambda x: x > 0))
+    solved = cells("b", inverse, shift)
+    live = solved[0] > 0
+    for c in solved[1:]:
+        live = live | (c > 0)
+    return b.where(live).select("row", F.array(*[project_nonneg(c) for c in solved]).alias("w"), "b")
 
 
 def correction(done: Factor, c: np.ndarray) -> DataFrame:
