@@ -2,7 +2,7 @@
 
 Each source gets a word budget. Whole repeats are given to every document; the rest of the budget is filled by
 hash order: words are summed by source and hash bucket, the bucket in which the running sum passes the budget is
-found, and only that bucket is divided further (twelve hash bits a level, three levels). A document is in the mix if
+found, and only that bucket is divided further (nine hash bits a level, four levels). A document is in the mix if
 its hash lies under its source's threshold: no sort, no rank, no row gathered anywhere. Further, nested rounds fill
 what the threshold before left over with later documents that still fit, and the last unit is taken if that brings the
 sum nearer to the budget.
@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from .common import hash60, remove, source_key, word_count, write_table, written
 
-BITS, LEVELS, PREFIX = 12, 3, 24  # 60 hash bits; the finest unit is the hash without its last PREFIX bits
+BITS, LEVELS, PREFIX = 9, 4, 24  # 60 hash bits; the finest unit is the hash without its last PREFIX bits
 SOURCE_BOUND = 100_000
 ROUNDS = 3
 
