@@ -24,13 +24,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import TaskFile, file_system, fresh_path, make_folder, small_batches, written
+from .common import TaskFile, file_system, fresh_path, make_folder, release, small_batches, written
 
 BLOCK = 576
 SHARD_BYTES = 512 << 20
 HEADER = 33
-ROW_SCHEMA = "doc_id long, n_bytes long, digest string, shard string, offset long, length long"
-READ_SCHEMA = "digest string, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, width int, height int, depth int"
+ROW_SCHEMA = "doc_id long, n_bytes long, digest binary, shard string, offset long, length long"
+READ_SCHEMA = "digest binary, shard string, offset long, length long, payload_bytes long, payload_sha binary, tail_crc32 long, media_bytes long, media_sha binary, feature string, width int, height int, depth int"
 
 
 def payload_of(text: str | None) -> tuple[int, bytes]:
@@ -105,19 +105,18 @@ def store(docs: DataFrame, folder: str, *, id_col: str = "doc_id", text_col: str
             cols: list[list] = [[], [], [], [], []]
             for t in b.column(1):
                 n, payload = payload_of(t.as_py())
-                digest = hashlib.sha256(payload).hexdigest()
-                key = bytes.fromhex(digest)
-                if key not in known:
+                digest = hashlib.sha256(payload).digest()
+                if digest not in known:
                     if shard and shard.size > SHARD_BYTES:
                         shard.close()
                         shard, seq = None, seq + 1
                     name = f"part-{task.partitionId():06d}-{seq:04d}.tar"
                     shard = shard or _Shard(folder, name, task.taskAttemptId())
                     media = encode(payload)
-                    known[key] = (name, shard.add(f"{digest}.png", media), len(media))
-                for c, v in zip(cols, (n, digest, *known[key]), strict=True):
+                    known[digest] = (name, shard.add(f"{digest.hex()}.png", media), len(media))
+                for c, v in zip(cols, (n, digest, *known[digest]), strict=True):
                     c.append(v)
-            yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.string(), pa.string(), pa.int64(), pa.int64()), strict=True)]], ["doc_id", "n_bytes", "digest", "shard", "offset", "length"])
+            yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.binary(), pa.string(), pa.int64(), pa.int64()), strict=True)]], ["doc_id", "n_bytes", "digest", "shard", "offset", "length"])
         if shard:
             shard.close()
 
@@ -145,10 +144,10 @@ def read_back(at: DataFrame, folder: str) -> DataFrame:
                 width, height, depth = header(file.read_at(min(HEADER, r["length"]), r["offset"]))
                 media = file.read_at(r["length"], r["offset"])
                 payload = decode(media)
-                digest = hashlib.sha256(payload).hexdigest()
-                out.append((r["digest"], len(payload), digest, zlib.crc32(payload[-32:]), len(media), hashlib.sha256(media).hexdigest(), feature(payload), width, height, depth))
+                at = (r["digest"], r["shard"], r["offset"], r["length"])
+                out.append((*at, len(payload), hashlib.sha256(payload).digest(), zlib.crc32(payload[-32:]), len(media), hashlib.sha256(media).digest(), feature(payload), width, height, depth))
             cols = list(zip(*out, strict=True)) or [[]] * len(names)
-            kinds = (pa.string(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32(), pa.int32(), pa.int32())
+            kinds = (pa.binary(), pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int64(), pa.int64(), pa.binary(), pa.string(), pa.int32(), pa.int32(), pa.int32())
             yield pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(cols, kinds, strict=True)], names)
 
     return at.repartitionByRange("shard", "offset").sortWithinPartitions("shard", "offset").mapInArrow(run, READ_SCHEMA)
@@ -158,9 +157,10 @@ def media_columns(docs: DataFrame, folder: str | None = None, *, id_col: str = "
     """doc_id, n_bytes, the stored payload's columns and its address, for each document."""
     folder = folder or fresh_path(docs.sparkSession, "media")
     rows = written(store(docs, folder, id_col=id_col, text_col=text_col), "media-rows")
-    at = written(addresses(rows), "media-addresses")
-    read = written(read_back(at, folder), "media-read")
-    where = at.join(read, "digest")
-    return rows.select("doc_id", "n_bytes", "digest").join(where, "digest").select(
-        "doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "width", "height", "depth", "digest", "shard", "offset", "length"
+    read = written(read_back(addresses(rows), folder), "media-read")
+    release(docs.sparkSession)
+    hexed = lambda c: F.lower(F.hex(c))
+    return rows.select("doc_id", "n_bytes", "digest").join(read, "digest").select(
+        "doc_id", "n_bytes", "payload_bytes", hexed("payload_sha").alias("payload_sha256"), "tail_crc32", "media_bytes", hexed("media_sha").alias("media_sha256"), "feature",
+        "width", "height", "depth", hexed("digest").alias("digest"), "shard", "offset", "length",
     )
