@@ -168,8 +168,7 @@ def links(distinct: DataFrame) -> DataFrame:
     fp = F.col("fp")
     places = F.array(*[F.struct(F.lit(i).alias("start"), F.shiftrightunsigned(_turned(fp, i), 64 - WIDTH * CHAIN).alias("key")) for i in range(SEGMENTS)])
     spread = distinct.select(F.inline(places), "fp")
-    # rows are plain numbers here, so larger batches cost little memory
-    small_batches(distinct.sparkSession, 100_000)
+    small_batches(distinct.sparkSession, 10_000)  # plain numbers: Spark's own batch size
     met = spread.repartition("start", "key").sortWithinPartitions("start", "key", "fp")
     return met.mapInArrow(_runs, "u long, v long")
 

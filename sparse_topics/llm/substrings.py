@@ -478,7 +478,6 @@ def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     index = written(pages_of(docs, folder, id_col, text_col), "page-index")
     n_pages, total = index.agg(F.count(F.lit(1)), F.coalesce(F.sum("n_bytes"), F.lit(0))).first()
     shards = max(2 * spark.sparkContext.defaultParallelism, -(-total // shard_bytes))
-    small_batches(spark, 4)  # a row stands for a page from here on
     answer = _shared_minimizers(_dealt(index, n_pages), folder, shards, hot_pages)
     release(spark)
     index = index.join(answer, "page", "left").withColumn("answers", F.coalesce("answers", F.array()))
