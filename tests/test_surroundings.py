@@ -131,3 +131,12 @@ def test_workloads(spark, tiny):
     assert peak["guess 60", 30] > 10
     skew = {(r.mode, r.measure): r.value for r in X.run_skew(spark, td, 4, 40, iters=3).collect()}
     assert skew["topic", "gini"] <= skew["whole", "gini"] + 1e-9
+
+
+def test_shared_folder_without_a_setting():
+    from types import SimpleNamespace
+
+    from sparse_topics.session import shared_dir
+
+    bare = SimpleNamespace(conf=SimpleNamespace(get=lambda key, default=None: default), sparkContext=SimpleNamespace(applicationId="app-1"))
+    assert shared_dir(bare) == shared_dir(bare) and shared_dir(bare).startswith("file://")
