@@ -458,6 +458,32 @@ def top_documents_per_source(spark, sf_dir):
     return top.withColumn("r", F.row_number().over(Window.partitionBy("source").orderBy(F.desc("n_chars"), "doc_id")).cast("long"))
 
 
+@query("SELECT doc_id, CAST(rank() OVER w AS INTEGER) AS r, CAST(dense_rank() OVER w AS INTEGER) AS d, CAST(ntile(4) OVER (PARTITION BY source ORDER BY n_chars, doc_id) AS INTEGER) AS quarter, round(percent_rank() OVER w, 6) AS share FROM documents WINDOW w AS (PARTITION BY source ORDER BY n_chars)")
+def window_ranks(spark, sf_dir):
+    w = Window.partitionBy("source").orderBy("n_chars")
+    quarter = F.ntile(4).over(Window.partitionBy("source").orderBy("n_chars", "doc_id"))
+    return load_table(spark, sf_dir, DOCS).select("doc_id", F.rank().over(w).alias("r"), F.dense_rank().over(w).alias("d"), quarter.alias("quarter"), F.round(F.percent_rank().over(w), 6).alias("share"))
+
+
+@query("SELECT doc_id, lang FROM documents d WHERE n_chars > (SELECT avg(n_chars) FROM documents e WHERE e.lang = d.lang) AND EXISTS (SELECT 1 FROM labels l WHERE l.doc_id = d.doc_id AND quality = 1)")
+def correlated_subqueries(spark, sf_dir):
+    docs, labels = load_table(spark, sf_dir, DOCS), load_table(spark, sf_dir, "labels")
+    return spark.sql(
+        "SELECT doc_id, lang FROM {docs} d WHERE n_chars > (SELECT avg(n_chars) FROM {docs} e WHERE e.lang = d.lang) AND EXISTS (SELECT 1 FROM {labels} l WHERE l.doc_id = d.doc_id AND quality = 1)",
+        docs=docs, labels=labels)
+
+
+@query("SELECT s.source, d.doc_id FROM (SELECT DISTINCT source FROM documents) s, LATERAL (SELECT doc_id FROM documents d WHERE d.source = s.source ORDER BY n_chars DESC, doc_id LIMIT 2) d")
+def lateral_longest(spark, sf_dir):
+    docs = load_table(spark, sf_dir, DOCS)
+    return spark.sql("SELECT s.source, d.doc_id FROM (SELECT DISTINCT source FROM {docs}) s, LATERAL (SELECT doc_id FROM {docs} d WHERE d.source = s.source ORDER BY n_chars DESC, doc_id LIMIT 2) d", docs=docs)
+
+
+fit_query("array_pack", "WITH " + O.base() + " SELECT doc_id, count(*) AS entries, CAST(sum(tf) AS BIGINT) AS tokens, min(term) AS first_term FROM a GROUP BY doc_id",
+          lambda s, d, td: td.coo.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("term", "tf"))).alias("e")).select("doc_id", F.size("e").cast("long").alias("entries"), F.aggregate("e", F.lit(0).cast("long"), lambda a, x: a + x["tf"]).alias("tokens"), F.element_at("e", 1)["term"].alias("first_term")))
+fit_query("map_profile", FIT + f" SELECT topic, row AS term, round(value, 6) AS value FROM {RANKED} WHERE rank <= 5", lambda s, d, td: R.topic_profile_map(_fit(td).u).select("topic", F.explode("profile").alias("term", "value")).withColumn("value", F.round("value", 6)))
+
+
 @query(None)
 def approx_distinct_terms(spark, sf_dir):
     return T.tokenize(load_table(spark, sf_dir, DOCS)).agg(F.approx_count_distinct("term", 0.01).alias("terms"))

@@ -104,6 +104,8 @@ def topic_drift(assigned: DataFrame, key: str = "user_id") -> DataFrame:
         def close(self) -> None:
             pass
 
+    # this operator keeps its state in RocksDB
+    assigned.sparkSession.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     kind = assigned.schema[key].dataType.simpleString()
     return assigned.groupBy(key).transformWithStateInPandas(Drift(), f"{key} {kind}, old int, new int", "append", "none")
 

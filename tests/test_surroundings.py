@@ -140,3 +140,15 @@ def test_shared_folder_without_a_setting():
 
     bare = SimpleNamespace(conf=SimpleNamespace(get=lambda key, default=None: default), sparkContext=SimpleNamespace(applicationId="app-1"))
     assert shared_dir(bare) == shared_dir(bare) and shared_dir(bare).startswith("file://")
+
+
+def test_topic_drift_and_watermarked_dedup(spark, tmp_path):
+    rows = [(1, 0, "a"), (1, 0, "b"), (1, 2, "a"), (2, 1, "c"), (1, 2, "d"), (1, 0, "c")]
+    spark.createDataFrame([(i, *r) for i, r in enumerate(rows)], "n int, user_id long, topic int, text string").coalesce(1).write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("n int, user_id long, topic int, text string").parquet(str(tmp_path / "in"))
+    seen = stream.withColumn("ts", F.timestamp_seconds("n"))
+    kept = S.drain(S.dedup_stream(seen, ts="ts").select("text"), spark, "test-dedup")
+    assert sorted(r.text for r in kept.collect()) == ["a", "b", "c", "d"]
+    pytest.importorskip("google.protobuf")
+    got = S.drain(S.topic_drift(stream.select("user_id", "topic")), spark, "test-drift")
+    assert {tuple(r) for r in got.collect()} == {(1, 0, 2), (1, 2, 0)}
