@@ -198,9 +198,14 @@ def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text")
     What goes is found on slim rows and anti-joined by id and text hash; texts move only if that list is too long to
     broadcast. Rows equal in both are told apart only if some stay, and then one of them is kept.
     """
-    spark = docs.sparkSession
     marks = written(fingerprints(docs, id_col=id_col, text_col=text_col), "fingerprints")
-    of_fp, path = write_table(_classes(marks), "classes")
+    return keep_smallest(docs, marks, _classes(marks), id_col=id_col, text_col=text_col)
+
+
+def keep_smallest(docs: DataFrame, marks: DataFrame, classes: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` with one row for each root of ``classes`` (fp, root); marks: (doc_id, text_hash, fp) of each document."""
+    spark = docs.sparkSession
+    of_fp, path = write_table(classes, "classes")
     row = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_hash")
     best = marks.join(of_fp, "fp").groupBy("root").agg(F.min(row).alias("best")).select("root", "best.doc_id", "best.text_hash")
     kept, kept_path = write_table(best, "kept")

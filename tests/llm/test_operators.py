@@ -10,7 +10,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from sparse_topics.llm import common, components, decontaminate, langid, media, mixing, quality, sharding, simhash, substrings, toxicity, urls
+from sparse_topics.llm import common, components, decontaminate, langid, media, mixing, quality, resemblance, sharding, simhash, substrings, toxicity, urls
 
 AWKWARD = "doc_id long, text string, lang string, source string, size long, shard int, key string, row string"
 
@@ -238,6 +238,52 @@ def test_components(spark):
     assert roots == {i: 0 for i in range(1, 61)} | {i: 100 for i in range(101, 201)}
 
 
+# ---- resemblance ------------------------------------------------------------------------------------------------
+
+
+def test_resembling_pairs_are_all_found(spark, tiny):
+    rng = random.Random(11)
+    base = [[f"w{rng.randrange(5000)}" for _ in range(rng.randrange(6, 120))] for _ in range(60)]
+    passage = [f"common{i}" for i in range(30)]
+    texts = [" ".join(w) for w in base] + ["", " ", "one", "ONE", "two words"]
+    for w in base:
+        for _ in range(3):
+            v = w.copy()
+            for _ in range(rng.randrange(3)):
+                v[rng.randrange(len(v))] = f"x{rng.randrange(9)}"
+            texts.append(" ".join(v + passage[: rng.choice([0, 2, 30])]))
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    docs = docs.unionByName(spark.read.parquet(f"{tiny}/documents.parquet").select((F.col("doc_id") + 10_000).alias("doc_id"), "text"))
+    grams = {}
+    for r in docs.collect():
+        w = words(r.text)
+        k = min(5, len(w))
+        grams[r.doc_id] = frozenset(tuple(w[i : i + k]) for i in range(len(w) - k + 1)) if w else frozenset()
+    root = {i: i for i in grams}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    ids, missed = sorted(grams), 0
+    for i, a in enumerate(ids):
+        for b in ids[:i]:
+            x, y = grams[a], grams[b]
+            if x == y or (x and y and len(x & y) / len(x | y) >= 0.8):
+                missed += x != y
+                root[max(find(a), find(b))] = min(find(a), find(b))
+    assert missed > 50
+    kept = resemblance.keep_one(docs)
+    assert sorted(r.doc_id for r in kept.collect()) == [i for i in ids if find(i) == i] and kept.columns == docs.columns
+
+
+def test_resemblance_awkward(awkward, nothing):
+    kept = resemblance.keep_one(awkward).collect()
+    assert len(kept) == len({tuple(words(r.text)) for r in awkward.collect()})
+    assert resemblance.keep_one(nothing).count() == 0
+
+
 # ---- decontamination --------------------------------------------------------------------------------------------
 
 
