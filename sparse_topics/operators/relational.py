@@ -37,12 +37,29 @@ def range_join(left: DataFrame, right: DataFrame, value: str, lo: str, hi: str,
     return left.withColumn("__bin", number(value)).join(spread, "__bin").where(F.col(value).between(F.col(lo), F.col(hi))).drop("__bin")
 
 
-def near_terms(terms: DataFrame, max_distance: int, prefix: int = 3) -> DataFrame:
-    """(a, b, distance) of terms with a common prefix and at most ``max_distance`` edits."""
-    t = terms.select("term").distinct().withColumn("p", F.substring("term", 1, prefix))
-    a, b = t.alias("a"), t.alias("b")
-    pairs = a.join(b, (F.col("a.p") == F.col("b.p")) & (F.col("a.term") < F.col("b.term")) & (F.abs(F.length("a.term") - F.length("b.term")) <= max_distance))
-    return pairs.select(F.col("a.term").alias("a"), F.col("b.term").alias("b"), F.levenshtein("a.term", "b.term", max_distance).cast("long").alias("distance")).where("distance >= 0")
+def near_terms(terms: DataFrame, max_distance: int, prefix: int = 0) -> DataFrame:
+    """(a, b, distance) of all terms at most ``max_distance`` edits apart; with ``prefix``, of those only that begin alike.
+
+    A term is cut into max_distance + 1 pieces at places that its length fixes. Each edit touches one piece at most, so
+    one piece of the longer term occurs unchanged in the other one, moved by max_distance characters at most: an
+    equi-join on length, piece and its text, with the exact distance after it. Terms no longer than max_distance have
+    empty pieces, which all terms of near lengths share.
+    """
+    pieces = max_distance + 1
+    t = terms.select("term").where("term is not null").distinct().withColumn("n", F.length("term"))
+    start = lambda n, i: F.floor(n * i / F.lit(pieces)).cast("int")
+    part = lambda n, i, at: F.substring(F.col("term"), at + 1, start(n, i + 1) - start(n, i))
+    every = F.sequence(F.lit(0), F.lit(max_distance))
+    longer = t.withColumn("i", F.explode(every)).select(F.col("term").alias("long"), "n", "i", part(F.col("n"), F.col("i"), start(F.col("n"), F.col("i"))).alias("piece"))
+    shifts = t.withColumnRenamed("n", "m").withColumn("i", F.explode(every)).withColumn("n", F.explode(F.sequence(F.col("m"), F.col("m") + max_distance)))
+    at = start(F.col("n"), F.col("i"))
+    shifts = shifts.withColumn("at", F.explode(F.sequence(F.greatest(F.lit(0), at - max_distance), F.greatest(F.lit(0), F.least(F.col("m"), at + max_distance)))))
+    shorter = shifts.select(F.col("term").alias("short"), "n", "i", part(F.col("n"), F.col("i"), F.col("at")).alias("piece")).distinct()
+    order = (F.col("long") != F.col("short")) & ((F.length("short") < F.col("n")) | (F.col("short") < F.col("long")))
+    pairs = longer.join(shorter, ["n", "i", "piece"]).where(order).select(F.least("long", "short").alias("a"), F.greatest("long", "short").alias("b")).distinct()
+    if prefix:
+        pairs = pairs.where(F.substring("a", 1, prefix) == F.substring("b", 1, prefix))
+    return pairs.select("a", "b", F.levenshtein("a", "b", max_distance).cast("long").alias("distance")).where("distance >= 0")
 
 
 def summarise(df: DataFrame, dims: list[str], aggs: list[Column], mode: str = "group", sets: list[list[str]] | None = None) -> DataFrame:

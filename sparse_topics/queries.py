@@ -496,6 +496,11 @@ def sample_stratified(spark, sf_dir):
 
 @query("SELECT a.p_name AS a, b.p_name AS b, levenshtein(a.p_name, b.p_name) AS distance FROM (SELECT DISTINCT p_name FROM part) a JOIN (SELECT DISTINCT p_name FROM part) b ON a.p_name < b.p_name AND substr(a.p_name, 1, 3) = substr(b.p_name, 1, 3) AND levenshtein(a.p_name, b.p_name) <= 3")
 def near_terms(spark, sf_dir):
+    return L.near_terms(load_table(spark, sf_dir, "part").select(F.col("p_name").alias("term")), 3, prefix=3)
+
+
+@query("SELECT a.p_name AS a, b.p_name AS b, levenshtein(a.p_name, b.p_name) AS distance FROM (SELECT DISTINCT p_name FROM part) a JOIN (SELECT DISTINCT p_name FROM part) b ON a.p_name < b.p_name AND levenshtein(a.p_name, b.p_name) <= 3")
+def near_terms_anywhere(spark, sf_dir):
     return L.near_terms(load_table(spark, sf_dir, "part").select(F.col("p_name").alias("term")), 3)
 
 

@@ -91,6 +91,25 @@ def test_asof_tolerance_and_samples(spark):
     assert L.sample_docs(left, 1.0).count() == 3
 
 
+def test_near_terms_against_brute_force(spark, tiny):
+    def edits(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            row, last = [i], row
+            for j, y in enumerate(b, 1):
+                row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (x != y)))
+        return row[-1]
+
+    names = [r.p_name for r in load_table(spark, tiny, "part").select("p_name").distinct().limit(60).collect()]
+    terms = sorted({"", "a", "ab", "ba", "abc", "xbc", "hot anvil", "cold anvil", "anvil", "an vil", "vil", "éa", *names})
+    df = spark.createDataFrame([(t,) for t in [*terms, None, "a"]], "term string")
+    for most in (0, 1, 2, 3):
+        want = {(a, b, edits(a, b)) for a in terms for b in terms if a < b and edits(a, b) <= most}
+        got = [tuple(r) for r in L.near_terms(df, most).collect()]
+        assert len(got) == len(set(got)) and set(got) == want
+    assert ("cold anvil", "hot anvil", 3) in want
+
+
 def test_streams_equal_batches(spark, tiny, tmp_path):
     td = Q.matrix(spark, tiny)
     u = sparse_als(td, 2, Limits(40, 60), max_iter=2, measure=False).u
