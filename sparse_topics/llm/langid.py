@@ -1,7 +1,7 @@
 """Language identification by compression.
 
-Each language has a raw-content zstandard dictionary: whole texts of a bounded, hash-chosen sample of the labelled rows
-(at most ``SAMPLE_TEXTS`` texts and ``DICT_BYTES`` bytes a language). A text is encoded, in blocks of ``BLOCK`` bytes so
+Each language has a raw-content zstandard dictionary: texts of a bounded, hash-chosen sample of the labelled rows (at
+most ``SAMPLE_TEXTS`` texts and ``DICT_BYTES`` bytes a language), a longer one from its first letter for ``sample_chars``. A text is encoded, in blocks of ``BLOCK`` bytes so
 that its own history never replaces the dictionary's, lower-cased, once with every dictionary; the smallest sum of sizes names the
 language. ``score`` is the smallest size's share in a soft minimum; ``rejected`` marks margins too narrow to trust.
 
@@ -24,24 +24,28 @@ from .common import hash60, small_batches
 SAMPLE_TEXTS, SAMPLE_CHARS, DICT_BYTES = 120, 20_000, 32 << 10
 BLOCK, SHORTEST_MATCH = 4096, 4
 NARROW = 0.01
+LEAST_BYTES = 8  # of a raw-content dictionary; shorter contents are repeated
 SCHEMA = "doc_id long, lang_pred string, score double, rejected boolean"
 
 
-def learn_dictionaries(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> list[tuple[str, bytes]]:
-    """(language, raw content), the language with most training texts first."""
+def learn_dictionaries(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample_chars: int = SAMPLE_CHARS) -> list[tuple[str, bytes]]:
+    """(language, raw content) for every language of a text with a letter, the one with most training texts first."""
     rows = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).rlike(r"\p{L}"))
     counts = {r[0]: r[1] for r in rows.groupBy(F.col(lang_col).cast("string")).count().collect()}  # one row a language
     order = Window.partitionBy("lang").orderBy("h", "doc_id")
-    usable = rows.where(F.length(text_col) <= SAMPLE_CHARS).select(
-        F.col(lang_col).cast("string").alias("lang"), F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), hash60(F.col(id_col), salt="lang:").alias("h")
+    whole = F.col(text_col)
+    piece = F.when(F.length(whole) <= sample_chars, whole).otherwise(F.substr(whole, F.regexp_instr(whole, F.lit(r"\p{L}")), F.lit(sample_chars)))
+    usable = rows.select(
+        F.col(lang_col).cast("string").alias("lang"), F.col(id_col).alias("doc_id"), piece.alias("text"), hash60(F.col(id_col), salt="lang:").alias("h")
     )
     chosen = usable.withColumn("r", F.row_number().over(order)).where(F.col("r") <= SAMPLE_TEXTS).select("lang", "r", "text").collect()
     content: dict[str, bytes] = {}
     for r in sorted(chosen, key=lambda r: (r["lang"], r["r"])):
         held, more = content.get(r["lang"], b""), r["text"].lower().encode()
-        if len(held) + len(more) + 1 <= DICT_BYTES or not held:
+        more = more if held else more[: DICT_BYTES - 1]
+        if len(held) + len(more) + 1 <= DICT_BYTES:
             content[r["lang"]] = held + more + b"\n"
-    return sorted(((k, v) for k, v in content.items() if len(v) >= 8), key=lambda kv: (-counts[kv[0]], kv[0]))
+    return sorted(((k, v * -(-LEAST_BYTES // len(v))) for k, v in content.items()), key=lambda kv: (-counts[kv[0]], kv[0]))
 
 
 def compressors(dictionaries: list[tuple[str, bytes]]):

@@ -444,3 +444,11 @@ def test_exact_neighbours():
         w = np.maximum(cos[near], 0) ** 2 * model.weights[near]
         want = (w * model.labels[near]).sum() / w.sum() if w.sum() else model.prior
         assert got[i] == pytest.approx(want, abs=0.02)
+
+
+def test_language_of_long_and_short_texts_only(spark):
+    long = "1 " * 15_000 + "zwo drei vier " * 3_000
+    docs = spark.createDataFrame([(1, long, "de"), (2, "a", "xx"), (3, "one two three", "en"), (4, "é" * 20_000, "fr")], "doc_id long, text string, lang string")
+    found = dict(langid.learn_dictionaries(docs))
+    assert set(found) == {"de", "en", "fr", "xx"} and found["de"].startswith(b"zwo drei") and all(8 <= len(v) <= langid.DICT_BYTES for v in found.values())
+    assert {r.doc_id: r.lang_pred for r in langid.identify(docs, sorted(found.items())).collect()}[1] == "de"
