@@ -233,13 +233,13 @@ def lsa_baseline(td: TermDoc, k: int, *, power: int = 6, seed: int = 0) -> tuple
     return u, v, s
 
 
-def lda_baseline(td: TermDoc, k: int, *, max_iter: int = 10, seed: int = 0, vocabulary: int = 50_000, r: int = 5) -> DataFrame:
-    """(topic, rank, term, value) of Spark's online LDA over the counts of the ``vocabulary`` most frequent terms."""
+def lda_baseline(td: TermDoc, k: int, *, max_iter: int = 10, seed: int = 0, r: int = 5) -> DataFrame:
+    """(topic, rank, term, value) of Spark's online LDA over the counts of all terms; its driver holds the vocabulary."""
     from pyspark.ml.clustering import LDA
     from pyspark.ml.feature import CountVectorizer
 
     docs = td.coo.groupBy("doc_id").agg(F.flatten(F.collect_list(F.array_repeat("term", F.col("tf").cast("int")))).alias("words"))
-    cv = CountVectorizer(inputCol="words", outputCol="features", vocabSize=vocabulary).fit(docs)
+    cv = CountVectorizer(inputCol="words", outputCol="features", vocabSize=max(1, td.n_terms)).fit(docs)
     model = LDA(k=k, maxIter=max_iter, seed=seed, optimizer="online").fit(cv.transform(docs).select("features"))
     vocab = F.array(*[F.lit(x) for x in cv.vocabulary]) if len(cv.vocabulary) <= 200 else None
     tops = model.describeTopics(r).select("topic", F.posexplode(F.arrays_zip("termIndices", "termWeights")).alias("rank", "e"))

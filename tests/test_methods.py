@@ -11,7 +11,7 @@ from sparse_topics.operators import measures as M
 from sparse_topics.operators import reading as R
 from sparse_topics.operators.als import projected_als, sparse_als, truncate_after
 from sparse_topics.operators.factors import Factor, from_local, hash_unit, initial_guess
-from sparse_topics.operators.matrix import TermDoc, matrix_from_arrays, prune_rare
+from sparse_topics.operators.matrix import TermDoc, matrix_from_arrays, matrix_from_counts, prune_rare
 from sparse_topics.operators.sequential import sequential_als
 from sparse_topics.operators.sparsify import Limits, keep_above, keep_largest, keep_largest_per_topic, kth_largest
 from sparse_topics.plans.choice import choose_join, choose_layout, plan_text
@@ -336,3 +336,9 @@ def test_bucketed_matrix_needs_no_exchange(planted, spark):
     assert "hashpartitioning" not in plan.replace("BroadcastExchange", "")
     assert np.allclose(sorted(r.b[0] for r in linalg.doc_product(again, small).collect()), sorted(r.b[0] for r in linalg.doc_product(td, small).collect()))
     spark.sql("DROP TABLE bucketed_matrix")
+
+
+def test_lda_holds_every_term(spark):
+    n = 50_100
+    td = matrix_from_counts(spark.range(2 * n).select((F.col("id") % n).cast("string").alias("term"), (F.col("id") % 7).alias("doc_id")), "term", "doc_id")
+    assert B.lda_baseline(td, 2, max_iter=1, r=n).select("term").distinct().count() == td.n_terms == n
