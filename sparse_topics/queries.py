@@ -1,6 +1,7 @@
 """The registered queries of the methods and what surrounds them, each with its statement for DuckDB where SQL can say it.
 
-Iterated methods run a few iterations on the whole ``documents`` table, so that a statement can unroll them.
+Iterated methods run a few iterations on the whole ``documents`` table, so that a statement can unroll
+them. The workloads w* have no statement and run with the defaults of their functions.
 """
 
 from __future__ import annotations
@@ -334,21 +335,21 @@ fit_query("norm_ratio_nmf", None, lambda s, d, td: rounded(B.norm_ratio_nmf(td,
 fit_query("lda", None, lambda s, d, td: B.lda_baseline(td, 4, max_iter=3))
 fit_query("lsa", None, lambda s, d, td: s.createDataFrame([(i, float(x)) for i, x in enumerate(B.lsa_baseline(td, 3, power=3)[2])], "i int, singular_value double"))
 
-# ---- workloads in small form ----------------------------------------------------------------------------------------
-
-fit_query("w1_density", None, lambda s, d, td: X.run_density_table(s, td, 4, 2))
-query(None, "w2_convergence")(lambda s, d: X.run_convergence_trace(s, X.corpus(s, d, "en"), iters=3))
-query(None, "w3_topic_tables")(lambda s, d: X.run_topic_tables(s, X.corpus(s, d, "en"), iters=3)[0])
-fit_query("w4_nnz_sweep", None, lambda s, d, td: X.run_nnz_sweep(s, td, 4, grid=(25, 250), iters=3))
-fit_query("w5_skew", None, lambda s, d, td: X.run_skew(s, td, iters=3))
-fit_query("w6_accuracy_sweep", None, lambda s, d, td: X.run_nnz_sweep(s, td, 4, measure="accuracy", labels=X.groups(s, d), grid=(50, 400), iters=3))
-fit_query("w7_during_after", None, lambda s, d, td: X.run_during_vs_after(s, td, X.groups(s, d), 4, grid=(200, 800), iters=3))
-fit_query("w8_peak_nnz", None, lambda s, d, td: X.run_peak_nnz(s, td, limits=(50, 500), guesses=(400, 4000), iters=2))
-fit_query("w9_even_topics", None, lambda s, d, td: X.run_even_topics(s, td, iters=5))
-fit_query("w10_even_accuracy", None, lambda s, d, td: X.run_even_accuracy(s, td, X.groups(s, d), 4, iters=4, seeds=(0,)))
-fit_query("w11_timing", None, lambda s, d, td: X.run_timing(s, td, iters=4))
-fit_query("w12_seed_spread", None, lambda s, d, td: X.run_seed_spread(s, td, X.groups(s, d), 4, k=3, iters=2, seeds=(0, 1)))
-fit_query("w14_related_methods", None, lambda s, d, td: X.run_related_methods(s, td, X.groups(s, d), 4, k=3, iters=1))
+# ---- workloads in whole form -----------------------------------------------------------------------------------------
+
+fit_query("w1_density", None, lambda s, d, td: X.run_density_table(s, td))
+query(None, "w2_convergence")(lambda s, d: X.run_convergence_trace(s, X.corpus(s, d, "en")))
+query(None, "w3_topic_tables")(lambda s, d: X.run_topic_tables(s, X.corpus(s, d, "en"))[0])
+fit_query("w4_nnz_sweep", None, lambda s, d, td: X.run_nnz_sweep(s, td, 4))
+fit_query("w5_skew", None, lambda s, d, td: X.run_skew(s, td))
+fit_query("w6_accuracy_sweep", None, lambda s, d, td: X.run_nnz_sweep(s, td, 4, measure="accuracy", labels=X.groups(s, d), iters=50))
+fit_query("w7_during_after", None, lambda s, d, td: X.run_during_vs_after(s, td, X.groups(s, d), 4))
+fit_query("w8_peak_nnz", None, lambda s, d, td: X.run_peak_nnz(s, td))
+fit_query("w9_even_topics", None, lambda s, d, td: X.run_even_topics(s, td))
+fit_query("w10_even_accuracy", None, lambda s, d, td: X.run_even_accuracy(s, td, X.groups(s, d), 4))
+fit_query("w11_timing", None, lambda s, d, td: X.run_timing(s, td))
+fit_query("w12_seed_spread", None, lambda s, d, td: X.run_seed_spread(s, td, X.groups(s, d), 4))
+fit_query("w14_related_methods", None, lambda s, d, td: X.run_related_methods(s, td, X.groups(s, d), 4))
 
 _HOURS = "event_type || '|' || CAST(hour(ts) AS VARCHAR)"
 for _n, _key, _src in (
@@ -359,7 +360,7 @@ for _n, _key, _src in (
 query("WITH c AS (SELECT vec_id AS doc_id, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) - 1 AS dim FROM embeddings), p AS (SELECT * FROM c WHERE x > 0) SELECT CAST(dim AS VARCHAR) AS term, doc_id, round(x, 6) AS tf, count(*) OVER (PARTITION BY dim) AS df FROM p", "w13_embeddings")(
     lambda s, d: X.relational_matrices(s, d)["embeddings"].coo.select("term", "doc_id", F.round("tf", 6).alias("tf"), "df"))
 query("WITH " + O.base("SELECT p_partkey AS doc_id, p_name AS text FROM part", stop=False) + " SELECT term, doc_id, tf, df FROM a", "w13_part_names")(lambda s, d: X.relational_matrices(s, d)["part words"].coo)
-query(None, "w13_fits")(lambda s, d: X.run_relational_matrices(s, d, iters=1))
+query(None, "w13_fits")(lambda s, d: X.run_relational_matrices(s, d))
 
 # ---- relational operators -------------------------------------------------------------------------------------------
 

@@ -171,3 +171,29 @@ def test_topic_drift_and_watermarked_dedup(spark, tmp_path):
     pytest.importorskip("google.protobuf")
     got = S.drain(S.topic_drift(stream.select("user_id", "topic")), spark, "test-drift")
     assert {tuple(r) for r in got.collect()} == {(1, 0, 2), (1, 2, 0)}
+
+
+def test_workloads_are_registered_whole(monkeypatch):
+    import inspect
+
+    seen = {}
+    for fn in ("run_convergence_trace", "run_nnz_sweep", "run_during_vs_after", "run_even_accuracy", "run_timing"):
+        real = inspect.signature(getattr(X, fn))
+
+        def call(*a, real=real, **b):
+            bound = real.bind(*a, **b)
+            bound.apply_defaults()
+            seen.update(bound.arguments)
+
+        monkeypatch.setattr(X, fn, call)
+    for name in ("matrix",):
+        monkeypatch.setattr(Q, name, lambda *a: None)
+    for name in ("corpus", "groups"):
+        monkeypatch.setattr(X, name, lambda *a: None)
+    got = {}
+    for name in ("w2_convergence", "w4_nnz_sweep", "w6_accuracy_sweep", "w7_during_after", "w10_even_accuracy", "w11_timing"):
+        seen.clear()
+        Q.QUERIES[name](None, "")
+        got[name] = (seen["iters"], seen.get("grid"), seen.get("seeds"))
+    assert {k: v[0] for k, v in got.items()} == {"w2_convergence": 75, "w4_nnz_sweep": 75, "w6_accuracy_sweep": 50, "w7_during_after": 50, "w10_even_accuracy": 20, "w11_timing": 100}
+    assert got["w4_nnz_sweep"][1] == got["w6_accuracy_sweep"][1] == X.GRID and len(got["w10_even_accuracy"][2]) == 5
