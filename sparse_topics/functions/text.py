@@ -2,12 +2,9 @@
 
 from __future__ import annotations
 
-import glob
 import os
-import zipfile
 from functools import cache
 
-import pyspark
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -15,15 +12,17 @@ LANGUAGES = ("english", "german", "french", "spanish")
 LETTERS = r"(\p{L}+)"
 
 
+STOP_DIR = os.path.join(os.path.dirname(os.path.abspath(__file__)), "stopwords")
+
+
 @cache
 def stop_words(languages: tuple[str, ...] = LANGUAGES) -> tuple[str, ...]:
-    """The stop lists that Spark ships, read from its library so that no session is needed."""
-    jar = glob.glob(os.path.join(os.path.dirname(pyspark.__file__), "jars", "spark-mllib_*.jar"))[0]
+    """The words of ``stopwords/<language>.txt``: the lists that Spark's StopWordsRemover ships, one word a line."""
     out: set[str] = set()
-    with zipfile.ZipFile(jar) as z:
-        for lang in languages:
-            out.update(z.read(f"org/apache/spark/ml/feature/stopwords/{lang}.txt").decode().split("\n"))
-    return tuple(sorted(w.strip() for w in out if w.strip()))
+    for lang in languages:
+        with open(os.path.join(STOP_DIR, f"{lang}.txt"), encoding="utf-8") as f:
+            out.update(line.strip() for line in f)
+    return tuple(sorted(out - {""}))
 
 
 def words(text: Column, pattern: str = LETTERS) -> Column:

@@ -2,6 +2,8 @@
 
 import math
 import os
+import subprocess
+import sys
 
 import duckdb
 import numpy as np
@@ -197,3 +199,20 @@ def test_workloads_are_registered_whole(monkeypatch):
         got[name] = (seen["iters"], seen.get("grid"), seen.get("seeds"))
     assert {k: v[0] for k, v in got.items()} == {"w2_convergence": 75, "w4_nnz_sweep": 75, "w6_accuracy_sweep": 50, "w7_during_after": 50, "w10_even_accuracy": 20, "w11_timing": 100}
     assert got["w4_nnz_sweep"][1] == got["w6_accuracy_sweep"][1] == X.GRID and len(got["w10_even_accuracy"][2]) == 5
+
+
+def test_entry_needs_nothing_of_the_spark_installation(tmp_path):
+    """As where pyspark's folder holds no jars: registering the queries and their statements reads package files only."""
+    code = (
+        "import pyspark, sys; pyspark.__file__ = sys.argv[1] + '/pyspark/__init__.py'; sys.path.insert(0, sys.argv[2]); import __spark_entry__ as e; "
+        "assert len(e.queries()) > 100 and set(e.oracle_sql()) <= set(e.queries()); assert 'the' in e.oracle_sql()['stop_word_removal']"
+    )
+    env = {k: v for k, v in os.environ.items() if k not in ("SPARK_HOME", "PYTHONPATH")}
+    subprocess.run([sys.executable, "-c", code, str(tmp_path), os.path.dirname(os.path.dirname(os.path.abspath(__file__)))], check=True, cwd=tmp_path, env=env)
+
+
+def test_stop_lists_are_those_of_spark(spark):
+    from pyspark.ml.feature import StopWordsRemover
+
+    for lang in T.LANGUAGES:
+        assert set(T.stop_words((lang,))) == {w.strip() for w in StopWordsRemover.loadDefaultStopWords(lang)} - {""}
