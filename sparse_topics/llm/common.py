@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -17,12 +19,17 @@ _own_dirs: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``, or a folder of our own where it is unset."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``. Where it is unset, a folder of our own if all
+    run on this machine; a cluster has to name one."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         app = spark.sparkContext.applicationId
         if app not in _own_dirs:
             _own_dirs[app] = "file://" + tempfile.mkdtemp(prefix="sparse_topics_")
+            atexit.register(shutil.rmtree, _own_dirs[app].removeprefix("file://"), True)
         found = _own_dirs[app]
     return found.rstrip("/")
 
@@ -58,6 +65,14 @@ def release(spark: SparkSession) -> None:
     spark._jvm.System.gc()
 
 
+def sliced(batches, rows: int = 500):
+    """Batches of at most ``rows`` rows, for workers that hold something of every row of a batch. (Spark bounds the bytes
+    that a batch carries to a worker, 64 MB by default; the session's settings are left alone.)"""
+    for b in batches:
+        for a in range(0, b.num_rows, rows):
+            yield b.slice(a, rows)
+
+
 def small_batches(spark: SparkSession, rows: int = 500) -> None:
     """Bound the rows (whole texts) that an Arrow batch carries to a Python worker."""
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))

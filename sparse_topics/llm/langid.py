@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import hash60, small_batches
+from .common import hash60, sliced
 
 SAMPLE_TEXTS, SAMPLE_CHARS, DICT_BYTES = 120, 20_000, 32 << 10
 BLOCK, SHORTEST_MATCH = 4096, 4
@@ -32,12 +32,17 @@ def learn_dictionaries(docs: DataFrame, *, id_col: str = "doc_id", text_col: str
     """(language, raw content) for every language of a text with a letter, the one with most training texts first."""
     rows = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).rlike(r"\p{L}"))
     counts = {r[0]: r[1] for r in rows.groupBy(F.col(lang_col).cast("string")).count().collect()}  # one row a language
+    if not counts:
+        return []
+    # the bound of a language's hashes keeps all but about twice the sample from being compared
+    bounds = [(k, int(min(1.0, (2 * SAMPLE_TEXTS + 100) / n) * (1 << 60))) for k, n in counts.items()]
+    listed = F.broadcast(docs.sparkSession.createDataFrame(bounds, "lang string, bound long"))
     order = Window.partitionBy("lang").orderBy("h", "doc_id")
     whole = F.col(text_col)
     piece = F.when(F.length(whole) <= sample_chars, whole).otherwise(F.substr(whole, F.regexp_instr(whole, F.lit(r"\p{L}")), F.lit(sample_chars)))
     usable = rows.select(
         F.col(lang_col).cast("string").alias("lang"), F.col(id_col).alias("doc_id"), piece.alias("text"), hash60(F.col(id_col), salt="lang:").alias("h")
-    )
+    ).join(listed, "lang").where("h < bound")
     chosen = usable.withColumn("r", F.row_number().over(order)).where(F.col("r") <= SAMPLE_TEXTS).select("lang", "r", "text").collect()
     content: dict[str, bytes] = {}
     for r in sorted(chosen, key=lambda r: (r["lang"], r["r"])):
@@ -79,12 +84,11 @@ def judge(text: str | None, names: list[str], coders) -> tuple[str, float, bool]
 
 def identify(docs: DataFrame, dictionaries: list[tuple[str, bytes]], *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, lang_pred, score, rejected) for each document."""
-    small_batches(docs.sparkSession)
     names = [n for n, _ in dictionaries]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coders = compressors(dictionaries)
-        for b in batches:
+        for b in sliced(batches):
             out = [judge(t.as_py(), names, coders) for t in b.column(1)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x[0] for x in out], pa.string()), pa.array([x[1] for x in out], pa.float64()), pa.array([x[2] for x in out], pa.bool_())], ["doc_id", "lang_pred", "score", "rejected"])
 

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import TaskFile, file_system, fresh_path, make_folder, release, small_batches, written
+from .common import TaskFile, file_system, fresh_path, make_folder, release, written
 
 BLOCK = 576
 SHARD_BYTES = 512 << 20
@@ -93,7 +93,6 @@ class _Shard(TaskFile):
 def store(docs: DataFrame, folder: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Writes the payloads of ``docs`` into tar shards in ``folder`` (a URI that all executors reach); gives the rows."""
     spark = docs.sparkSession
-    small_batches(spark)
     make_folder(spark, folder)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

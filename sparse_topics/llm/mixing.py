@@ -7,8 +7,8 @@ its hash lies under its source's threshold: no sort, no rank, no row gathered an
 what the threshold before left over with later documents that still fit, and the last unit is taken if that brings the
 sum nearer to the budget.
 
-Defined results: a null text has size 0; a null source is a source of its own, ordered last; rows with equal (or null)
-doc_id share a hash and stand or fall together; an empty table gives an empty mix; other columns of the input are
+Defined results: a null text has size 0; a null source is a source of its own, ordered last; rows equal in doc_id and
+text share a hash and stand or fall together; an empty table gives an empty mix; other columns of the input are
 ignored by ``plan_mix`` and kept by ``mix_rows``. The number of sources is that of a mixture specification: one row
 each is aggregated and joined, and the join is a broadcast only under ``SOURCE_BOUND`` rows.
 """
@@ -25,11 +25,15 @@ SOURCE_BOUND = 100_000
 ROUNDS = 3
 
 
+def _unit(id_col: str, text_col: str) -> Column:
+    return F.shiftright(hash60(F.col(id_col), F.col(text_col), salt="mix:"), PREFIX)
+
+
 def sized(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
     """(doc_id, key, size, unit): what the histograms need of each document."""
     return docs.select(
         F.col(id_col).alias("doc_id"), source_key(F.col(source_col)).alias("key"), word_count(F.col(text_col)).alias("size"),
-        F.shiftright(hash60(F.col(id_col), salt="mix:"), PREFIX).alias("unit"),
+        _unit(id_col, text_col).alias("unit"),
     )
 
 
@@ -135,7 +139,7 @@ def mix_rows(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     remove(spark, path)
     row = docs.select(
         F.struct("*").alias("row"), source_key(F.col(source_col)).alias("key"), word_count(F.col(text_col)).alias("size"),
-        F.shiftright(hash60(F.col(id_col), salt="mix:"), PREFIX).alias("unit"),
+        _unit(id_col, text_col).alias("unit"),
     )
     taken = row.join(plan, "key").withColumn("copies", copies()).where(F.col("copies") > 0)
     return taken.select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy")).select("row.*")
@@ -156,7 +160,7 @@ g{i} AS (SELECT *, chosen{j} OR (size{i} > 0 AND (cut{i} IS NULL OR unit < cut{i
 SQL = r"""
 WITH d AS (SELECT doc_id, CASE WHEN source IS NULL THEN 't' ELSE 's' || source END AS key,
     CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size,
-    ('0x' || substr(md5('mix:' || coalesce(CAST(doc_id AS VARCHAR), '')), 1, 15))::BIGINT >> 24 AS unit FROM documents),
+    ('0x' || substr(md5('mix:' || coalesce(CAST(doc_id AS VARCHAR), '') || coalesce(text, '')), 1, 15))::BIGINT >> 24 AS unit FROM documents),
 s AS (SELECT key, CAST(sum(size) AS BIGINT) AS source_size, (row_number() OVER (ORDER BY key) - 1) % 3 + 1 AS weight FROM d GROUP BY key),
 w AS (SELECT *, CAST(source_size AS DOUBLE) / weight AS fill, CAST(sum(source_size) OVER () AS BIGINT) AS total, CAST(sum(weight) OVER () AS BIGINT) AS allw FROM s),
 l AS (SELECT *, CAST(coalesce(sum(source_size) OVER u, 0) AS BIGINT) AS fs, CAST(coalesce(sum(weight) OVER u, 0) AS BIGINT) AS fw FROM w

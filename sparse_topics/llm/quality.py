@@ -1,14 +1,16 @@
 """Quality classifier: nearest-neighbour voting among labelled latent-semantic vectors.
 
-A text's terms are its word shapes (letters collapsed to one, punctuation kept), pairs of neighbouring shapes, and
-bins of a few whole-text ratios (repeated words, capitals, symbols). Hashed tf-idf vectors of a bounded labelled sample
-(``PER_CLASS`` rows a class) are reduced by a truncated SVD; the sample's vectors (2 x PER_CLASS x RANK numbers) and the
-projection go to every executor, and each document's cosines with all of them come from blocked matrix products. The
-``NEIGHBOURS`` nearest vote with their similarity; the classes' sampling rates are corrected by weight.
+A text's terms are its words (A-Z lower-cased), its word shapes (letters collapsed to one, punctuation kept), pairs of
+neighbouring shapes, and bins of a few whole-text ratios (repeated words, capitals, symbols). Hashed tf-idf vectors of a
+bounded labelled sample (``PER_CLASS`` rows and ``SAMPLE_BYTES`` bytes a class) are reduced by a truncated SVD; the
+sample's vectors (2 x PER_CLASS x RANK numbers) and the projection go to every executor, and each document's cosines
+with all of them come from blocked matrix products. The ``NEIGHBOURS`` nearest vote with their similarity; the classes'
+sampling rates are corrected by weight.
 
 Defined results: null, empty and wordless texts have the labelled rows' share of label 1 as their score; unlabelled
-and null labels are not learned from; without any labelled row every score is 0.5; ties between neighbours go to the
-earlier sample row; repeated rows each get a row; empty tables and other columns are fine.
+rows, null labels and rows with conflicting labels are not learned from; without any labelled row every score is 0.5;
+ties between neighbours (cosines equal to nine digits) go to the earlier sample row; repeated rows each get a row; empty
+tables and other columns are fine.
 """
 
 from __future__ import annotations
@@ -24,9 +26,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hash60, small_batches
+from .common import hash60, written
 
-PER_CLASS, BUCKETS, RANK, NEIGHBOURS = 1500, 4096, 32, 25
+PER_CLASS, BUCKETS, RANK, NEIGHBOURS = 1500, 8192, 32, 25
+SAMPLE_BYTES = 32 << 20
+SLICE = 256  # rows of a batch that are made into Python objects at once
 SCHEMA = "doc_id long, score double"
 
 _CLASS = bytes(
@@ -45,6 +49,8 @@ def terms(text: str | None) -> Counter:
     out.update(shapes)
     out.update(zip(shapes, shapes[1:], strict=False))
     n, share = len(words), Counter(words)
+    for w, c in share.items():
+        out[w.lower().decode()] += c  # as a string, so that no word is taken for a shape
     weight = max(1, n // 8)
     letters = sum(data.count(bytes([c])) for c in b"ABCDEFGHIJKLMNOPQRSTUVWXYZ")
     for name, ratio in (("distinct", len(share) / n ** 0.9), ("most", max(share.values()) / n), ("capitals", letters / len(data)), ("symbols", sum(data.count(c) for c in (b"*", b"#", b"$", b"%", b"&", b"|", b"!")) / len(data))):
@@ -53,7 +59,7 @@ def terms(text: str | None) -> Counter:
 
 
 def _slot(term) -> int:
-    key = b"\x00".join(term) if isinstance(term, tuple) else term.encode() if isinstance(term, str) else term
+    key = b"\x00".join(term) if isinstance(term, tuple) else b"\x01" + term.encode() if isinstance(term, str) else term
     return zlib.crc32(key) % BUCKETS
 
 
@@ -76,7 +82,7 @@ class NeighbourModel:
     prior: float
 
     def embed(self, texts: list[str | None]) -> np.ndarray:
-        out = np.zeros((len(texts), self.projection.shape[1]), np.float32)
+        out = np.zeros((len(texts), self.projection.shape[1]))
         for i, t in enumerate(texts):
             slots, tf = sparse(t)
             if len(slots):
@@ -91,31 +97,89 @@ class NeighbourModel:
             return out
         vectors = self.embed(texts)
         for a in range(0, len(texts), block):
-            cos = vectors[a : a + block] @ self.vectors.T
-            near = np.argpartition(-cos, k - 1, axis=1)[:, :k]
-            w = np.maximum(np.take_along_axis(cos, near, 1), 0.0) ** 2 * self.weights[near]
+            # equal rows must have equal cosines, whatever block they are multiplied in
+            cos = np.round(vectors[a : a + block] @ self.vectors.T, 9)
+            least = np.partition(cos, len(self.labels) - k, axis=1)[:, len(self.labels) - k, None]
+            above, equal = cos > least, cos == least
+            taken = above | (equal & (np.cumsum(equal, 1) <= k - above.sum(1, keepdims=True)))
+            w = np.where(taken, np.maximum(cos, 0.0) ** 2 * self.weights, 0.0)
             total = w.sum(1)
             live = total > 0
-            out[a : a + block][live] = ((w * self.labels[near]).sum(1)[live] / total[live])
+            out[a : a + block][live] = (w @ self.labels)[live] / total[live]
         return np.clip(out, 0.0, 1.0)
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, *, per_class: int, id_col: str = "doc_id", text_col: str = "text") -> tuple[list[tuple[str, int]], dict[int, int]]:
-    """At most ``per_class`` (text, label) rows of each class by hash of the id, and how many rows each class has."""
-    known = labels.where(F.col(label).isin(0, 1)).select(F.col("doc_id").alias("l_id"), F.col(label).cast("int").alias("y"))
+def _chosen(rows: DataFrame, total: int, n: int) -> list:
+    """The ids of ``n`` rows of (l_id) by hash; the hash's bound keeps all but about 2 n rows from being compared."""
+    h = hash60(F.col("l_id"), salt="label:")
+    some = rows.withColumn("h", h).where(F.col("h") < int(min(1.0, (2 * n + 100) / max(1, total)) * (1 << 60)))
+    return [r["l_id"] for r in some.orderBy("h", "l_id").limit(n).select("l_id").collect()]
+
+
+def learning_sample(
+    docs: DataFrame, labels: DataFrame, label: str, *, per_class: int, unlabelled: int = 0, may_learn=None, sample_bytes: int = SAMPLE_BYTES, id_col: str = "doc_id", text_col: str = "text"
+) -> tuple[list[tuple[str, int]], dict[int, int], list[str]]:
+    """(at most ``per_class`` (text, label) rows of each class, rows of each class, at most ``unlabelled`` other texts), all
+    by hash of the id and within ``sample_bytes`` a class. may_learn: a condition on ``docs`` that unlabelled rows fulfil.
+
+    The first row of a class is taken whatever its size; a doc_id with several texts gives the smallest.
+    """
+    spark = docs.sparkSession
+    known = labels.where(F.col(label).isin(0, 1) & F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").cast("long").alias("l_id")).agg(
+        F.min(F.col(label).cast("int")).alias("y"), F.max(F.col(label).cast("int")).alias("most")
+    ).where("y = most").select("l_id", "y")
     counts = {r["y"]: r["n"] for r in known.groupBy("y").agg(F.count(F.lit(1)).alias("n")).collect()}
-    ids = []
-    for y in sorted(counts):
-        mine = known.where(F.col("y") == y).withColumn("h", hash60(F.col("l_id"), salt="label:"))
-        ids += [(r["l_id"], y) for r in mine.orderBy("h", "l_id").limit(per_class).collect()]
+    ids = [(i, y) for y in sorted(counts) for i in _chosen(known.where(F.col("y") == y), counts[y], per_class)]
+    if unlabelled:
+        free = docs if may_learn is None else docs.where(may_learn)
+        free = free.select(F.col(id_col).cast("long").alias("l_id")).where("l_id is not null")
+        free = free.join(labels.select(F.col("doc_id").cast("long").alias("l_id")), "l_id", "left_anti")
+        ids += [(i, -1) for i in _chosen(free, free.count(), unlabelled)]
     if not ids:
-        return [], counts
-    spark = docs.sparkSession
-    wanted = spark.createDataFrame(sorted(set(ids), key=str), "l_id long, y int")
-    rows = docs.select(F.col(id_col).cast("long").alias("l_id"), F.col(text_col).alias("text")).join(F.broadcast(wanted), "l_id")
-    rows = rows.groupBy("l_id", "y").agg(F.min("text").alias("text"))
-    found = sorted(((r["l_id"], r["y"], r["text"]) for r in rows.collect()), key=lambda r: r[:2])
-    return [(t, y) for _, y, t in found], counts
+        return [], counts, []
+    wanted = F.broadcast(spark.createDataFrame(sorted(set(ids)), "l_id long, y int"))  # bounded by the parameters
+    rows = docs.select(F.col(id_col).cast("long").alias("l_id"), F.col(text_col).cast("string").alias("text")).join(wanted, "l_id")
+    rows = written(rows.groupBy("l_id", "y").agg(F.min("text").alias("text")), "learning-sample")
+    sizes = {(r["l_id"], r["y"]): r["n"] for r in rows.select("l_id", "y", F.coalesce(F.octet_length("text"), F.lit(0)).alias("n")).collect()}
+    held, keep = Counter(), []
+    for key in ids:
+        if key in sizes and (not held[key[1]] or held[key[1]] + sizes[key] <= sample_bytes):
+            held[key[1]] += sizes[key] + 1
+            keep.append(key)
+    kept = F.broadcast(spark.createDataFrame(sorted(set(keep)), "l_id long, y int"))
+    found = sorted(((r["l_id"], r["y"], r["text"]) for r in rows.join(kept, ["l_id", "y"]).collect()), key=lambda r: r[:2])
+    return [(t, y) for _, y, t in found if y >= 0], counts, [t for _, y, t in found if y < 0]
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, *, per_class: int, **options) -> tuple[list[tuple[str, int]], dict[int, int]]:
+    return learning_sample(docs, labels, label, per_class=per_class, **options)[:2]
+
+
+def _blocks(matrix: np.ndarray, rows: int = 512) -> Iterator[tuple[slice, np.ndarray]]:
+    """Rows in double precision, few at a time."""
+    for a in range(0, len(matrix), rows):
+        yield slice(a, a + rows), matrix[a : a + rows].astype(np.float64)
+
+
+def latent_axes(matrix: np.ndarray, rank: int, tolerance: float = 1e-12, most: int = 120) -> np.ndarray:
+    """The ``rank`` leading right singular vectors as columns: subspace iteration on the rows' Gram matrix (the rows are a
+    bounded sample) until the subspace stands still."""
+    n = len(matrix)
+    r = min(rank, n)
+    gram = np.empty((n, n))
+    for i, x in _blocks(matrix):
+        for j, y in _blocks(matrix):
+            gram[i, j] = x @ y.T
+    basis, _ = np.linalg.qr(np.random.default_rng(7).standard_normal((n, min(n, r + 24))))
+    old = np.zeros(basis.shape[1])
+    for _ in range(most):
+        basis, up = np.linalg.qr(gram @ basis)
+        new = np.abs(np.diag(up))
+        if np.abs(new[:r] - old[:r]).max() <= tolerance * max(new.max(), 1e-300):
+            break
+        old = new
+    _, _, vt = np.linalg.svd(sum(basis[i].T @ x for i, x in _blocks(matrix)), full_matrices=False)
+    return vt[:r].T
 
 
 def fit(sample: list[tuple[str | None, int]], counts: dict[int, int], rank: int = RANK) -> NeighbourModel:
@@ -123,51 +187,44 @@ def fit(sample: list[tuple[str | None, int]], counts: dict[int, int], rank: int
     total = sum(counts.values())
     prior = counts.get(1, 0) / total if total else 0.5
     if not n:
-        return NeighbourModel(np.zeros((BUCKETS, 1)), np.zeros((0, 1), np.float32), np.zeros(0), np.zeros(0), prior)
+        return NeighbourModel(np.zeros((BUCKETS, 1)), np.zeros((0, 1)), np.zeros(0), np.zeros(0), prior)
     matrix = np.zeros((n, BUCKETS), np.float32)
     for i, (text, _) in enumerate(sample):
         slots, tf = sparse(text)
         matrix[i, slots] = tf
-    idf = np.log((1 + n) / (1 + (matrix > 0).sum(0))) + 1
-    matrix *= idf
-    matrix /= np.maximum(np.linalg.norm(matrix, axis=1, keepdims=True), 1e-12)
-    rng = np.random.default_rng(7)
-    r = min(rank, n)
-    basis = matrix @ rng.standard_normal((BUCKETS, r + 8)).astype(np.float32)
-    for _ in range(4):
-        basis, _ = np.linalg.qr(basis)
-        basis = matrix @ (matrix.T @ basis)
-    basis, _ = np.linalg.qr(basis)
-    _, _, vt = np.linalg.svd(basis.T @ matrix, full_matrices=False)
-    axes = vt[:r].T
-    model = NeighbourModel(idf[:, None] * axes, np.zeros((0, r), np.float32), np.array([y for _, y in sample], np.float64), np.zeros(0), prior)
+    idf = np.log((1 + n) / (1 + np.count_nonzero(matrix, axis=0))) + 1
+    for i in range(n):  # row by row: a copy of the matrix would be as large as the driver's other memory
+        row = matrix[i] * idf
+        matrix[i] = row / max(np.linalg.norm(row), 1e-12)
+    axes = latent_axes(matrix, rank)
+    model = NeighbourModel(idf[:, None] * axes, np.zeros((0, axes.shape[1])), np.array([y for _, y in sample], np.float64), np.zeros(0), prior)
     model.vectors = model.embed([t for t, _ in sample])
     taken = Counter(y for _, y in sample)
     model.weights = np.array([counts[y] / taken[y] for _, y in sample]) / total
     return model
 
 
+def _scores(model, texts: pa.Array) -> np.ndarray:
+    """``model.score`` over slices, so that few texts are Python objects at once."""
+    parts = [model.score(texts.slice(a, SLICE).to_pylist()) for a in range(0, len(texts), SLICE)]
+    return np.concatenate(parts) if parts else np.zeros(0)
+
+
 def score_documents(docs: DataFrame, model, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, score) for each document; ``model`` has ``score(texts)``."""
-    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(model.score(b.column(1).to_pylist()), pa.float64())], ["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(_scores(model, b.column(1)), pa.float64())], ["doc_id", "score"])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, SCHEMA)
 
 
 def keep_good(docs: DataFrame, model: NeighbourModel, *, threshold: float = 0.3, text_col: str = "text") -> DataFrame:
     """The documents whose score reaches the threshold, with all their columns."""
-    from pyspark.sql.functions import pandas_udf
-
-    small_batches(docs.sparkSession)
-
-    @pandas_udf("double")
-    def good(texts):
-        import pandas as pd
 
-        return pd.Series(model.score([None if t is None else t for t in texts]))
+    @F.arrow_udf("double")
+    def good(texts: pa.Array) -> pa.Array:
+        return pa.array(_scores(model, texts), pa.float64())
 
     return docs.where(good(F.col(text_col).cast("string")) >= threshold)

@@ -36,8 +36,9 @@ def _judged(docs: DataFrame, model, threshold: float) -> DataFrame:
 
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
-    sample, counts = quality.labelled_sample(docs, learnable(load(spark, sf_dir, "labels")), "toxic", per_class=toxicity.PER_CLASS)
-    return _judged(docs, toxicity.fit(sample, counts), 0.5)
+    learn = remainder(F.col("doc_id"), FOLDS) != 0
+    sample = quality.learning_sample(docs, learnable(load(spark, sf_dir, "labels")), "toxic", per_class=toxicity.PER_CLASS, unlabelled=toxicity.UNLABELLED, may_learn=learn)
+    return _judged(docs, toxicity.fit(*sample), 0.5)
 
 
 def quality_model(docs: DataFrame, labels: DataFrame) -> quality.NeighbourModel:

@@ -20,6 +20,7 @@ from pyspark.sql import functions as F
 from .common import hash60, source_key, written
 
 _LOW = (1 << 33) - 1
+SOURCE_BOUND = 100_000  # sources that are broadcast
 
 
 def _places(ordered: DataFrame) -> DataFrame:
@@ -37,7 +38,8 @@ def interleave(slim: DataFrame, shards: int) -> DataFrame:
     first = _places(slim.repartitionByRange(*order).sortWithinPartitions(*order))
     counts = slim.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
     starts = counts.withColumn("start", F.coalesce(F.sum("n").over(Window.orderBy("key").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    ranked = first.join(starts, "key").withColumn("frac", (2 * (F.col("place") - F.col("start")) + 1) / (2 * F.col("n"))).drop("place", "start", "n")
+    listed = F.broadcast(starts) if counts.count() <= SOURCE_BOUND else starts
+    ranked = first.join(listed, "key").withColumn("frac", (2 * (F.col("place") - F.col("start")) + 1) / (2 * F.col("n"))).drop("place", "start", "n")
     order = ["frac", *order]
     total = slim.count()
     placed = _places(ranked.repartitionByRange(*order).sortWithinPartitions(*order))

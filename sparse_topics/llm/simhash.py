@@ -9,7 +9,9 @@ fifteenth, two in all. So the seven segments after each start are an equi-join k
 what meets there, and only then the whole distance is counted. Fingerprints, not documents, are compared, so copies
 meet once. What shares a key is sorted and streamed through one task as plain numbers; a run of fingerprints gives the
 edges of its components' stars and never its pairs. Runs over ``BLOCK_RUN`` are linked through values with two bits
-masked, which needs no pairs either.
+masked, which needs no pairs either. A run over ``HOT_RUN`` is not gathered but dealt again: of the 36 bits that its
+members may differ in, two differ at most, so one of three blocks of 12 is equal too and joins the key; where that is
+hot as well, one of three blocks of 8 of the 24 bits that are left. Then 16 bits are free, and a run has 65,536 members.
 
 Defined results: null, empty and wordless texts have fingerprint zero and are linked like any other; a component's id
 is its smallest doc_id, null only if all are null; repeated rows each get a row; an empty table gives no rows; other
@@ -25,13 +27,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import remove, small_batches, write_table, written
+from .common import remove, write_table, written
 from .components import components
 
 SHINGLE, SEED, DISTANCE = 3, 42, 2
 SEGMENTS, WIDTH = 16, 4
 CHAIN = SEGMENTS // DISTANCE - 1  # so many whole segments have a budget under one bit
-BLOCK_RUN = 4096
+BLOCK_RUN, HOT_RUN = 4096, 1 << 16
 KEEP_BROADCAST = 2_000_000
 
 
@@ -59,7 +61,6 @@ def fingerprint(text: str | None) -> int:
 
 def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text_hash, fp) for each document; fp is the fingerprint as a signed long."""
-    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -124,53 +125,97 @@ def _prefix_mask(start: int) -> np.uint64:
     return np.uint64(((top >> turn) | (top << (64 - turn))) & ((1 << 64) - 1) if turn else top)
 
 
-def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    held: list[np.ndarray] = []
-    held_key = None
-
-    def flush():
-        if held_key is not None:
-            fps = np.concatenate(held).view(np.uint64)
-            if len(fps) > 1:
-                a, b = link_run(fps, int(held_key[0]))
-                if len(a):
-                    yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["u", "v"])
-
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        start, key, fp = (np.asarray(batch.column(i)) for i in range(3))
-        heads = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]) | (start[1:] != start[:-1])])
-        ends = np.r_[heads[1:], len(fp)]
-        first = (int(start[0]), int(key[0]))
-        todo = list(range(len(heads)))
-        if first == held_key:
-            held.append(fp[: ends[0]].copy())
-            todo = todo[1:]
-            if not todo:
+def _runs(hot_run: int):
+    """Linker of runs of equal (start, key, sub) in sorted batches: rows (kind 0, u, v) are edges; the members of a run
+    over ``hot_run`` come back as (kind 1, start, key, sub, fp) and are not held."""
+    names = ["kind", "u", "v", "start", "key", "sub"]
+
+    def out(kind: int, u: np.ndarray, v: np.ndarray | None, run: tuple) -> pa.RecordBatch:
+        n = len(u)
+        cols = [np.full(n, kind, np.int32), u.view(np.int64), (u if v is None else v).view(np.int64), *[np.full(n, x, np.int64) for x in run]]
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names)
+
+    def run_(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[np.ndarray] = []
+        held_key, held_n, hot = None, 0, False
+
+        def flush():
+            if held_key is not None and held_n > 1:
+                fps = np.concatenate(held).view(np.uint64)
+                if hot:
+                    yield out(1, fps, None, held_key)
+                else:
+                    yield out(0, *link_run(fps, held_key[0]), (0, 0, 0))
+
+        for batch in batches:
+            if not batch.num_rows:
                 continue
-        yield from flush()
-        held, held_key = [], None
-        if todo:
+            start, key, sub, fp = (np.asarray(batch.column(i)) for i in range(4))
+            heads = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]) | (start[1:] != start[:-1]) | (sub[1:] != sub[:-1])])
+            ends = np.r_[heads[1:], len(fp)]
             us, vs = [], []
-            for i in [i for i in todo[:-1] if ends[i] - heads[i] > 1]:
-                a, b = link_run(fp[heads[i] : ends[i]].copy().view(np.uint64), int(start[heads[i]]))
-                us.append(a), vs.append(b)
+            for i, (a, z) in enumerate(zip(heads.tolist(), ends.tolist(), strict=True)):
+                this = (int(start[a]), int(key[a]), int(sub[a]))
+                if this != held_key:
+                    if held_key is not None:
+                        yield from flush()
+                        held, held_key, held_n, hot = [], None, 0, False
+                    if i < len(heads) - 1 and z - a <= hot_run:  # the run ends in this batch
+                        if z - a > 1:
+                            u, v = link_run(fp[a:z].copy().view(np.uint64), this[0])
+                            us.append(u), vs.append(v)
+                        continue
+                    held_key = this
+                held.append(fp[a:z].copy())
+                held_n += z - a
+                hot = hot or held_n > hot_run
+                if hot:
+                    yield from flush()
+                    held = [np.zeros(0, np.int64)]
             if us:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(us).view(np.int64)), pa.array(np.concatenate(vs).view(np.int64))], ["u", "v"])
-            last = heads[todo[-1]]
-            held, held_key = [fp[last:].copy()], (int(start[last]), int(key[last]))
-    yield from flush()
+                yield out(0, np.concatenate(us), np.concatenate(vs), (0, 0, 0))
+        if not hot:
+            yield from flush()
+
+    return run_
+
+
+FREE = 64 - WIDTH * CHAIN  # bits in which the members of a run may differ
+
+
+def _dealt_again(hot: DataFrame, level: int) -> DataFrame:
+    """(start, key, sub, fp): the members of hot runs under each block of bits that could be equal too."""
+    free = F.lit(0)
+    for i in range(SEGMENTS):
+        free = F.when(F.col("start") == i, _turned(F.col("fp"), i).bitwiseAND((1 << FREE) - 1)).otherwise(free)
+    rows = hot.withColumn("free", free)
+    if level == 1:
+        blocks = [F.lit((i + 1) << 12).bitwiseOR(F.shiftright("free", 12 * i).bitwiseAND(0xFFF)) for i in range(3)]
+    else:
+        block = F.shiftright("sub", 12) - 1
+        low = F.when(block == 0, F.shiftright("free", 12).bitwiseAND(0xFFF)).otherwise(F.col("free").bitwiseAND(0xFFF))
+        high = F.when(block == 2, F.shiftright("free", 12).bitwiseAND(0xFFF)).otherwise(F.shiftright("free", 24).bitwiseAND(0xFFF))
+        left = low.bitwiseOR(F.shiftleft(high, 12))
+        blocks = [F.shiftleft("sub", 10).bitwiseOR(F.lit((i + 1) << 8)).bitwiseOR(F.shiftright(left, 8 * i).bitwiseAND(0xFF)) for i in range(3)]
+    return rows.select("start", "key", F.explode(F.array(*blocks)).alias("sub"), "fp")
 
 
-def links(distinct: DataFrame) -> DataFrame:
+def links(distinct: DataFrame, hot_run: int = HOT_RUN) -> DataFrame:
     """(u, v): star edges that connect what lies within DISTANCE bits, from a table of distinct fingerprints (fp)."""
     fp = F.col("fp")
-    places = F.array(*[F.struct(F.lit(i).alias("start"), F.shiftrightunsigned(_turned(fp, i), 64 - WIDTH * CHAIN).alias("key")) for i in range(SEGMENTS)])
-    spread = distinct.select(F.inline(places), "fp")
-    small_batches(distinct.sparkSession, 10_000)  # plain numbers: Spark's own batch size
-    met = spread.repartition("start", "key").sortWithinPartitions("start", "key", "fp")
-    return met.mapInArrow(_runs, "u long, v long")
+    places = F.array(*[F.struct(F.lit(i).cast("long").alias("start"), F.shiftrightunsigned(_turned(fp, i), FREE).alias("key")) for i in range(SEGMENTS)])
+    spread = distinct.select(F.inline(places), F.lit(0).cast("long").alias("sub"), "fp")
+    found = None
+    for level in (1, 2, 3):
+        met = spread.repartition("start", "key", "sub").sortWithinPartitions("start", "key", "sub", "fp")
+        # at the third level a run can't be hot: 2^16 fingerprints share its other bits
+        rows = written(met.mapInArrow(_runs(hot_run if level < 3 else 1 << 62), "kind int, u long, v long, start long, key long, sub long"), "simhash-links")
+        edges = rows.where("kind = 0").select("u", "v")
+        found = edges if found is None else found.unionByName(edges)
+        hot = rows.where("kind = 1").select("start", "key", "sub", F.col("u").alias("fp"))
+        if level == 3 or hot.isEmpty():
+            return found
+        spread = _dealt_again(hot, level)
 
 
 def _classes(marks: DataFrame) -> DataFrame:

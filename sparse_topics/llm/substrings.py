@@ -29,12 +29,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import TaskFile, file_system, fresh_path, make_folder, release, small_batches, written
+from .common import TaskFile, file_system, fresh_path, make_folder, release, written
 
 LENGTH, K = 50, 24  # K: a multiple of 8
 PAGE_BYTES = 1 << 20
 SHARD_BYTES = 6 << 20
-PAGES_A_TASK = 8
+PAGES_A_TASK, SHARDS_A_TASK = 8, 4
 HOT_PAGES = 20_000
 NULL_ID = (1 << 63) - 1
 _POSITION_BITS = 23
@@ -458,22 +458,28 @@ def _dealt(index: DataFrame, n_pages: int) -> DataFrame:
     return index.repartition(max(index.sparkSession.sparkContext.defaultParallelism, -(-n_pages // PAGES_A_TASK)), "page")
 
 
+def _by_task(asked: DataFrame, shards: int):
+    """The questions grouped by shard, a few neighbouring shards a task: a task's share does not grow with the input."""
+    tasks = max(min(shards, 4 * asked.sparkSession.sparkContext.defaultParallelism), -(-shards // SHARDS_A_TASK))
+    numbered = asked.withColumn("task", F.expr(f"CAST(shard * {tasks} div {shards} AS INT)"))
+    return numbered.repartitionById(tasks, "task").groupBy("task", "shard")
+
+
 def _shared_minimizers(index: DataFrame, folder: str, shards: int, hot_pages: int) -> DataFrame:
     asked = index.mapInArrow(_ask_minimizers(shards, folder), "shard long, page long, hashes binary, several binary")
-    answer = asked.groupBy("shard").applyInArrow(_answer_minimizers(hot_pages), "page long, shard long, shared binary, hot binary")
+    answer = _by_task(asked, shards).applyInArrow(_answer_minimizers(hot_pages), "page long, shard long, shared binary, hot binary")
     return written(answer.groupBy("page").agg(F.collect_list(F.struct("shard", "shared", "hot")).alias("answers")), "answers")
 
 
 def _earlier_windows(index: DataFrame, folder: str, shards: int) -> DataFrame:
     asked = index.mapInArrow(_ask_segments(shards, folder), "shard long, page long, segs binary, lens binary, hashes binary, least binary")
-    earlier = asked.groupBy("shard").applyInArrow(_answer_segments, "page long, shard long, earlier binary")
+    earlier = _by_task(asked, shards).applyInArrow(_answer_segments, "page long, shard long, earlier binary")
     return written(earlier.groupBy("page").agg(F.collect_list(F.struct("shard", "earlier")).alias("earlier")), "earlier")
 
 
 def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shard_bytes: int = SHARD_BYTES, hot_pages: int = HOT_PAGES) -> DataFrame:
     """(doc_id, n_bytes, n_removed, spans, kept) for each document; kept holds the bytes that stay."""
     spark = docs.sparkSession
-    small_batches(spark)
     folder = fresh_path(spark, "pages")
     index = written(pages_of(docs, folder, id_col, text_col), "page-index")
     n_pages, total = index.agg(F.count(F.lit(1)), F.coalesce(F.sum("n_bytes"), F.lit(0))).first()
