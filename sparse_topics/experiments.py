@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from .operators import baselines as B
 from .operators import measures as M
 from .operators.als import FitResult, projected_als, sparse_als, truncate_after
-from .operators.factors import initial_guess
+from .operators.factors import Factor, initial_guess
 from .operators.matrix import TermDoc, build_term_doc, matrix_from_arrays, matrix_from_counts
 from .operators.reading import top_terms, topic_sizes
 from .operators.relational import user_hours
@@ -206,7 +206,8 @@ def run_relational_matrices(spark: SparkSession, sf_dir: str, k: int = 3, t_u: i
 
 
 def run_related_methods(spark: SparkSession, td: TermDoc, labels: DataFrame, n_groups: int, k: int = 4, iters: int = 5) -> DataFrame:
-    """Error and mean accuracy of the related methods, V cut to its largest entries for membership."""
+    """Error and mean accuracy of the related methods, V cut to its largest entries for membership (for LSA by magnitude).
+    Ranked terms by tf-idf have no topics and so neither measure."""
     fits = {
         "projected als": projected_als(td, k, max_iter=iters), "enforced": sparse_als(td, k, Limits(55, 400), max_iter=iters),
         "threshold": sparse_als(td, k, Limits(tau_u=1e-3, tau_v=1e-3), max_iter=iters), "multiplicative": B.multiplicative_nmf(td, k, max_iter=iters),
@@ -214,9 +215,13 @@ def run_related_methods(spark: SparkSession, td: TermDoc, labels: DataFrame, n_g
         "norm ratio": B.norm_ratio_nmf(td, k, 0.9, max_iter=iters, measure=True), "plsa": B.plsa_baseline(td, k, max_iter=iters),
     }
     rows = []
+    u, v, singular = B.lsa_baseline(td, k, power=iters)
+    left = max(0.0, td.norm_sq - float((singular**2).sum()))
+    fits["lsa"] = FitResult(u, Factor(k, v.frame.select("row", F.transform("w", lambda x: F.abs(x)).alias("w"))), k, [(iters, 0.0, (left / td.norm_sq) ** 0.5 if td.norm_sq else 0.0)])
+    fits["lda"] = FitResult(u, B.lda_model(td, k, max_iter=iters)[1], k)
     for name, fit in fits.items():
         cut = truncate_after(fit, Limits(t_v=400))
-        if name != "plsa":
+        if name not in ("plsa", "lda"):
             rows.append(("related", name, "none", None, 400, 0, "error", float(fit.steps[-1][2])))
         rows.append(("related", name, "none", None, 400, 0, "mean accuracy", float(M.mean_accuracy(cut.v, labels, n_groups).first()["mean_acc"])))
     return _rows(spark, rows)

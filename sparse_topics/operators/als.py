@@ -14,10 +14,10 @@ import numpy as np
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.choice import LOCAL_ENTRIES
-from ..session import written
+from ..plans.choice import heap_fits
+from ..session import remove, write_table
 from . import linalg
-from .factors import Factor, from_local, initial_guess, key_kind
+from .factors import Factor, discard, from_local, initial_guess, key_kind, pack, stored
 from .matrix import TermDoc
 from .sparsify import Limits, truncate
 
@@ -65,9 +65,9 @@ def _local_step(solved: DataFrame, k: int, limits: Limits, side: str) -> HalfSte
 def _written_step(solved: DataFrame, k: int, limits: Limits, side: str) -> HalfStep:
     """Kept on executors: packed rows are written, their Gram sums, cross term and entries observed on the way."""
     t, tau = limits.side(side)
-    out = solved
+    out, base_path = solved, None
     if t is not None or tau is not None:
-        base = written(solved, f"candidates-{side}")
+        base, base_path = write_table(solved, f"candidates-{side}")
         long = base.select("row", F.posexplode(F.arrays_zip("w", "b")).alias("topic", "e")).select("row", "topic", F.col("e.w").alias("value"), F.col("e.b").alias("b")).where("value > 0")
         cells = lambda c: F.array(*[F.sum(F.when(F.col("topic") == i, F.col(c)).otherwise(0.0)) for i in range(k)]).alias(c if c == "b" else "w")
         out = truncate(long, limits, side).groupBy("row").agg(cells("value"), cells("b"))
@@ -75,15 +75,16 @@ def _written_step(solved: DataFrame, k: int, limits: Limits, side: str) -> HalfS
     dot = F.sum(F.aggregate(F.zip_with("w", "b", lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x))
     entries = F.sum(F.size(F.filter("w", lambda x: x > 0)))
     packed = linalg.choose_layout(k) == "packed"
-    frame = written(out.observe(seen, dot.alias("cross"), entries.alias("n"), *(linalg.gram_columns("w", k) if packed else [])).select("row", "w"), f"factor-{side}")
+    f = stored(out.observe(seen, dot.alias("cross"), entries.alias("n"), *(linalg.gram_columns("w", k) if packed else [])).select("row", "w"), k, f"factor-{side}")
+    remove(solved.sparkSession, base_path)
     got = seen.get
-    f = Factor(k, frame, int(got["n"] or 0))
+    f.nnz = int(got["n"] or 0)
     return HalfStep(f, linalg.gram_of(got, k) if packed else linalg.gram(f), got["cross"] or 0.0, int(got["n"] or 0))
 
 
 def materialise(solved: DataFrame, k: int, limits: Limits, side: str) -> HalfStep:
     t, _ = limits.side(side)
-    few = t is not None and t * (k if limits.scope == "topic" else 1) <= LOCAL_ENTRIES and limits.ties == "exact"
+    few = t is not None and limits.ties == "exact" and heap_fits(solved.sparkSession, t * (k if limits.scope == "topic" else 1))
     return (_local_step if few else _written_step)(solved, k, limits, side)
 
 
@@ -108,42 +109,55 @@ def change(new: Factor, old: Factor) -> float:
     return float(np.sqrt(r["d"] / r["n"])) if r["n"] else float("inf") if r["d"] else 0.0
 
 
-def error_from(norm_sq: float, cross: float, gram_u: np.ndarray, gram_v: np.ndarray) -> float:
-    """Relative error from sums only: the product of the factors is never formed."""
-    return float(np.sqrt(max(0.0, norm_sq - 2 * cross + float((gram_u * gram_v).sum())) / norm_sq)) if norm_sq else 0.0
+def error_from(norm_sq: float, cross: float, gram_u: np.ndarray, gram_v: np.ndarray, rest_sq: float | None = None) -> float:
+    """Relative error from sums only: the product of the factors is never formed. rest_sq: the squared norm of what finished
+    blocks leave of A, whose product with the factors is ``cross``; A's own if there are none."""
+    rest = norm_sq if rest_sq is None else rest_sq
+    return float(np.sqrt(max(0.0, rest - 2 * cross + float((gram_u * gram_v).sum())) / norm_sq)) if norm_sq else 0.0
 
 
 def sparse_als(
     td: TermDoc, k: int, limits: Limits | None = None, *, init: Factor | None = None, init_nnz: int | None = None, max_iter: int = 20, tol: float = 0.0, seed: int = 0,
-    method: str = "pinv", shift: tuple[float, float] = (0.0, 0.0), ridge: float = 0.0, done: tuple[Factor, Factor] | None = None, measure: bool = True, revive: str = "none",
+    method: str = "pinv", shift: tuple[float, float] = (0.0, 0.0), ridge: float = 0.0, done: tuple[Factor, Factor] | None = None, rest_sq: float | None = None,
+    measure: bool = True, revive: str = "none",
 ) -> FitResult:
     """Solve V, clip, truncate; solve U from the truncated V, clip, truncate; repeat.
 
     Limits(None, None) is projected ALS. The first guess is not truncated. tol: stop when the relative change of U is at
-    most this. done: finished blocks, taken off by algebra. A topic that lost all entries stays empty, or with
-    revive='reseed' gets its column of the guess (another seed) added to U.
+    most this. done: finished blocks, taken off by algebra; rest_sq: the squared norm of what they leave of A. A topic that
+    lost all entries stays empty, or with revive='reseed' gets its column of the guess (another seed) added to U. Tables of
+    factors are removed as soon as the next ones are there; only the last two stay.
     """
     limits = limits or Limits()
-    u = init or initial_guess(td, k, nnz=init_nnz, seed=seed)
+    u = init
+    if u is None:
+        u = initial_guess(td, k, nnz=init_nnz, seed=seed)
+        u = u if u.local or u.path else stored(u.frame, k, "guess", u.nnz)
     first_nnz = u.count() if measure else 0
     peak, steps = first_nnz, []
     v = None
     gram_u = linalg.gram(u)
     for i in range(1, max_iter + 1):
         began = time.perf_counter()
-        v_step = materialise(linalg.solve_docs(td, u, done=done, method=method, shift=shift[1], ridge=ridge), k, limits, "v")
+        v_step = materialise(linalg.solve_docs(td, u, done=done, method=method, shift=shift[1], ridge=ridge, gram_u=gram_u), k, limits, "v")
+        discard(v)
         v = v_step.factor
         peak = max(peak, u.nnz + v.nnz) if u.nnz is not None else peak
-        u_step = materialise(linalg.solve_terms(td, v, done=done, method=method, shift=shift[0], ridge=ridge), k, limits, "u")
+        u_step = materialise(linalg.solve_terms(td, v, done=done, method=method, shift=shift[0], ridge=ridge, gram_v=v_step.gram), k, limits, "u")
         new, gram_u = u_step.factor, u_step.gram
-        if revive == "reseed" and (np.diag(gram_u) == 0).any():
-            new = _revived(td, new, np.flatnonzero(np.diag(gram_u) == 0).tolist(), seed + i)
+        revived = revive == "reseed" and (np.diag(gram_u) == 0).any()
+        if revived:
+            new, dead = _revived(td, new, np.flatnonzero(np.diag(gram_u) == 0).tolist(), seed + i), new
+            discard(dead)
             gram_u = linalg.gram(new)
             new.count()
         residual = change(new, u) if measure or tol else float("nan")
+        if u is not init:
+            discard(u)
         u = new
         peak = max(peak, u.nnz + v.nnz)
-        error = error_from(td.norm_sq, u_step.cross, gram_u, v_step.gram) if measure and not done else float("nan")
+        known = measure and (done is None or rest_sq is not None) and not revived
+        error = error_from(td.norm_sq, u_step.cross, gram_u, v_step.gram, rest_sq) if known else float("nan")
         steps.append((i, residual, error, u.nnz, v.nnz, peak, max(u_step.candidates, v_step.candidates), int((np.diag(gram_u) > 0).sum()), time.perf_counter() - began))
         if tol and residual <= tol:
             break
@@ -152,9 +166,7 @@ def sparse_als(
 
 def _revived(td: TermDoc, u: Factor, dead: list[int], seed: int) -> Factor:
     guess = initial_guess(td, u.k, nnz=max(1, (u.count() or u.k) // u.k) * u.k, seed=seed).long().where(F.col("topic").isin(dead))
-    from .factors import pack
-
-    return Factor(u.k, written(pack(u.long().unionByName(guess), u.k), "revived"))
+    return stored(pack(u.long().unionByName(guess), u.k), u.k, "revived")
 
 
 def projected_als(td: TermDoc, k: int, *, init: Factor | None = None, max_iter: int = 20, tol: float = 0.0, seed: int = 0, **options) -> FitResult:
@@ -169,7 +181,5 @@ def truncate_after(fit: FitResult, limits: Limits) -> FitResult:
         if limits.side(name) == (None, None):
             sides[name] = f
             continue
-        from .factors import pack
-
-        sides[name] = Factor(fit.k, written(pack(truncate(f.long(), limits, name), fit.k), f"truncated-{name}"))
+        sides[name] = stored(pack(truncate(f.long(), limits, name), fit.k), fit.k, f"truncated-{name}")
     return FitResult(sides["u"], sides["v"], fit.k, fit.steps)

@@ -6,13 +6,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
-from ..session import written
 from . import linalg
 from .als import FitResult, change, error_from, sparse_als
-from .factors import Factor, hash_unit, initial_guess
+from .factors import Factor, discard, hash_unit, initial_guess, pack, stored
 from .matrix import TermDoc
 from .sparsify import Limits
 
@@ -22,11 +21,11 @@ TINY = 1e-12
 def doc_guess(td: TermDoc, k: int, seed: int = 0) -> Factor:
     """A positive first V by hash of (doc_id, topic, seed)."""
     w = F.array(*[hash_unit(F.col("row"), str(t), f"v{seed}") for t in range(k)])
-    return Factor(k, td.coo.select(F.col("doc_id").alias("row")).distinct().select("row", w.alias("w")))
+    return stored(td.coo.select(F.col("doc_id").alias("row")).distinct().select("row", w.alias("w")), k, "guess-v")
 
 
-def _stored(frame: DataFrame, k: int, name: str) -> Factor:
-    return Factor(k, written(frame, name))
+def _guess(td: TermDoc, k: int, seed: int) -> Factor:
+    return stored(initial_guess(td, k, seed=seed).frame, k, "guess")
 
 
 def _steps(td: TermDoc, fit: list, i: int, u: Factor, old: Factor, v: Factor) -> None:
@@ -40,17 +39,19 @@ def _steps(td: TermDoc, fit: list, i: int, u: Factor, old: Factor, v: Factor) ->
 def _multiplied(own: Factor, product: DataFrame, gram: np.ndarray, k: int, name: str) -> Factor:
     rows = own.frame.join(product, "row").withColumn("d", linalg.times("w", gram))
     new = F.transform(F.arrays_zip("w", "b", "d"), lambda e: e["w"] * e["b"] / F.greatest(e["d"], F.lit(TINY)))
-    return _stored(rows.select("row", new.alias("w")), k, name)
+    return stored(rows.select("row", new.alias("w")), k, name)
 
 
 def multiplicative_nmf(td: TermDoc, k: int, *, max_iter: int = 20, seed: int = 0, measure: bool = True) -> FitResult:
     """Element-wise multiplicative updates of V, then U; the objective never rises."""
-    u, v, steps = initial_guess(td, k, seed=seed), doc_guess(td, k, seed), []
+    u, v, steps = _guess(td, k, seed), doc_guess(td, k, seed), []
     for i in range(1, max_iter + 1):
-        v = _multiplied(v, linalg.doc_product(td, u), linalg.gram(u), k, "mu-v")
+        before, v = v, _multiplied(v, linalg.doc_product(td, u), linalg.gram(u), k, "mu-v")
+        discard(before)
         old, u = u, _multiplied(u, linalg.term_product(td, v), linalg.gram(v), k, "mu-u")
         if measure:
             _steps(td, steps, i, u, old, v)
+        discard(old)
     return FitResult(u, v, k, steps)
 
 
@@ -58,17 +59,19 @@ def _descended(own: Factor, product: DataFrame, gram: np.ndarray, k: int, step:
     rate = step / (2 * max(np.linalg.eigvalsh(gram).max(), TINY))
     rows = own.frame.join(product, "row").withColumn("d", linalg.times("w", gram))
     new = F.transform(F.arrays_zip("w", "b", "d"), lambda e: F.greatest(e["w"] - F.lit(2 * rate) * (e["d"] - e["b"]), F.lit(0.0)))
-    return _stored(rows.select("row", new.alias("w")), k, name)
+    return stored(rows.select("row", new.alias("w")), k, name)
 
 
 def gradient_nmf(td: TermDoc, k: int, *, step: float = 1.0, max_iter: int = 20, seed: int = 0, measure: bool = True) -> FitResult:
     """Projected gradient steps of length step / L, L from the largest eigenvalue of the other side's Gram matrix."""
-    u, v, steps = initial_guess(td, k, seed=seed), doc_guess(td, k, seed), []
+    u, v, steps = _guess(td, k, seed), doc_guess(td, k, seed), []
     for i in range(1, max_iter + 1):
-        v = _descended(v, linalg.doc_product(td, u), linalg.gram(u), k, step, "pg-v")
+        before, v = v, _descended(v, linalg.doc_product(td, u), linalg.gram(u), k, step, "pg-v")
+        discard(before)
         old, u = u, _descended(u, linalg.term_product(td, v), linalg.gram(v), k, step, "pg-u")
         if measure:
             _steps(td, steps, i, u, old, v)
+        discard(old)
     return FitResult(u, v, k, steps)
 
 
@@ -126,12 +129,14 @@ def _exact_rows(product: DataFrame, gram: np.ndarray, k: int) -> DataFrame:
 
 def anls_nmf(td: TermDoc, k: int, *, max_iter: int = 20, seed: int = 0, measure: bool = True) -> FitResult:
     """Alternating non-negative least squares, each row solved exactly."""
-    u, steps, v = initial_guess(td, k, seed=seed), [], None
+    u, steps, v = _guess(td, k, seed), [], None
     for i in range(1, max_iter + 1):
-        v = _stored(_exact_rows(linalg.doc_product(td, u), linalg.gram(u), k), k, "nnls-v")
-        old, u = u, _stored(_exact_rows(linalg.term_product(td, v), linalg.gram(v), k), k, "nnls-u")
+        before, v = v, stored(_exact_rows(linalg.doc_product(td, u), linalg.gram(u), k), k, "nnls-v")
+        discard(before)
+        old, u = u, stored(_exact_rows(linalg.term_product(td, v), linalg.gram(v), k), k, "nnls-u")
         if measure:
             _steps(td, steps, i, u, old, v)
+        discard(old)
     return FitResult(u, v, k, steps)
 
 
@@ -140,49 +145,81 @@ def l1_nmf(td: TermDoc, k: int, lambda_u: float, lambda_v: float, **options) ->
     return sparse_als(td, k, Limits(), shift=(lambda_u / 2, lambda_v / 2), **options)
 
 
-def project_norm_ratio(x: np.ndarray, l1: float, l2: float) -> np.ndarray:
-    """The closest non-negative vector with the given sum and norm."""
-    n = len(x)
-    s = x + (l1 - x.sum()) / n
-    zero = np.zeros(n, bool)
-    for _ in range(n):
-        m = np.where(zero, 0.0, l1 / max(1, n - zero.sum()))
-        d = s - m
-        a, b, c = (d * d).sum(), 2 * (m * d).sum(), (m * m).sum() - l2 * l2
-        disc = max(0.0, b * b - 4 * a * c)
-        s = m + ((-b + np.sqrt(disc)) / (2 * a) if a > TINY else 0.0) * d
-        if (s >= -TINY).all():
+def norm_ratio_maps(long: DataFrame, k: int, n: int, sparseness: float, most: int = 60) -> list[tuple[float, float, float]]:
+    """For each topic (p, q, low): its closest non-negative column of the given ratio of sum to norm, and of the norm it has,
+    is p x + q where x >= low and 0 elsewhere.
+
+    Every step of the projection maps all entries that are still free by one line, and the entries it fixes at zero are
+    those below a bound. So a step needs count, sum and squares of the free entries only: one aggregate row a topic, for
+    all topics at once. Zeros are not stored; they are free as long as the bound is not above 0.
+    """
+    spark = long.sparkSession
+    root = float(np.sqrt(n))
+
+    def sums(low: list[float]) -> list[tuple[float, float, float]]:
+        bounds = spark.createDataFrame(list(enumerate(map(float, low))), "topic int, low double")  # one row a topic
+        x = F.col("value")
+        free = long.join(F.broadcast(bounds), "topic").where(x >= F.col("low")).groupBy("topic").agg(F.count(F.lit(1)).alias("n"), F.sum(x).alias("s"), F.sum(x * x).alias("ss"))
+        got = {r["topic"]: (r["n"], r["s"], r["ss"]) for r in free.collect()}
+        return [got.get(t, (0, 0.0, 0.0)) for t in range(k)]
+
+    low = [-np.inf] * k
+    now = whole = sums([0.0] * k)
+    free = [float(n)] * k
+    l2 = [float(np.sqrt(x[2])) for x in whole]
+    l1 = [x * (root - sparseness * (root - 1)) for x in l2]
+    line = [(1.0, (l1[t] - whole[t][1]) / n) for t in range(k)]
+    todo = [t for t in range(k) if l2[t] > 0]
+    for _ in range(most):
+        moved = []
+        for t in todo:
+            (p, q), (_, s, ss), m = line[t], now[t], l1[t] / free[t]
+            e = q - m
+            a, b, c = p * p * ss + 2 * p * e * s + free[t] * e * e, 2 * m * (p * s + free[t] * e), free[t] * m * m - l2[t] ** 2
+            alpha = (-b + np.sqrt(max(0.0, b * b - 4 * a * c))) / (2 * a) if a > TINY else 0.0
+            line[t] = p, q = alpha * p, m + alpha * e
+            if p > 0 and -q / p > max(low[t], 0.0) + TINY:
+                moved.append((t, -q / p))
+        if not moved:
             break
-        zero |= s < 0
-        s[zero] = 0.0
-        if zero.all():
-            break
-        s[~zero] -= (s.sum() - l1) / (~zero).sum()
-    return np.maximum(s, 0.0)
+        for t, bound in moved:
+            low[t] = bound
+        new = sums([max(x, 0.0) for x in low])
+        todo = []
+        for t, _ in moved:
+            if new[t][0] == 0 or new[t][0] == free[t]:
+                continue  # nothing is left free, or nothing was fixed
+            now[t], free[t] = new[t], float(new[t][0])
+            p, q = line[t]
+            line[t] = p, q - (p * now[t][1] + free[t] * q - l1[t]) / free[t]
+            todo.append(t)
+    return [(*line[t], low[t]) if l2[t] else (1.0, 0.0, -np.inf) for t in range(k)]
+
+
+def project_norm_ratio(terms: DataFrame, solved: DataFrame, k: int, n: int, sparseness: float) -> DataFrame:
+    """(row, w): each column of ``solved`` (row, w) brought to the given sparseness. terms: all rows (row)."""
+    long = solved.select("row", F.posexplode("w").alias("topic", "value")).where("value > 0")
+    maps = norm_ratio_maps(long, k, n, sparseness)
+    zeros = any(q > 0 and low <= 0 for _, q, low in maps)  # a column that gives stored entries to all rows
+    rows = terms.join(solved.select("row", "w"), "row", "left") if zeros else solved.select("row", "w")
+    x = lambda t: F.coalesce(F.col("w")[t], F.lit(0.0))
+    new = [F.greatest(F.lit(0.0), F.when(x(t) >= F.lit(float(low)), x(t) * F.lit(float(p)) + F.lit(float(q))).otherwise(0.0)) for t, (p, q, low) in enumerate(maps)]
+    return rows.select("row", F.array(*new).alias("w")).where(F.exists("w", lambda v: v > 0))
 
 
 def norm_ratio_nmf(td: TermDoc, k: int, sparseness_u: float, *, max_iter: int = 10, seed: int = 0, measure: bool = False) -> FitResult:
-    """Projected ALS whose U columns are projected to a given ratio of sum to norm; one task holds one column."""
-    u, steps, v = initial_guess(td, k, seed=seed), [], None
-    n = td.n_terms
+    """Projected ALS whose U columns are projected to a given ratio of sum to norm."""
+    u, steps, v = _guess(td, k, seed), [], None
     terms = td.coo.select(F.col("term").alias("row")).distinct()
-
-    def project(table: pa.Table) -> pa.Table:
-        x = np.asarray(table.column("value"))
-        l2 = float(np.sqrt((x * x).sum()))
-        root = np.sqrt(n)
-        out = project_norm_ratio(x, l2 * (root - sparseness_u * (root - 1)), l2) if l2 else x
-        return pa.table({"row": table.column("row"), "topic": table.column("topic"), "value": pa.array(out)})
-
     for i in range(1, max_iter + 1):
-        v = _stored(linalg.solve_docs(td, u).select("row", "w"), k, "hoyer-v")
-        solved = terms.join(linalg.solve_terms(td, v).select("row", "w"), "row", "left").select("row", F.coalesce("w", F.array_repeat(F.lit(0.0), k)).alias("w"))
-        long = solved.select("row", F.posexplode("w").alias("topic", "value")).groupBy("topic").applyInArrow(project, "row string, topic int, value double")
-        from .factors import pack
-
-        old, u = u, _stored(pack(long.where("value > 0"), k), k, "hoyer-u")
+        before, v = v, stored(linalg.solve_docs(td, u).select("row", "w"), k, "ratio-v")
+        discard(before)
+        solved = stored(linalg.solve_terms(td, v).select("row", "w"), k, "ratio-solved")
+        old, u = u, stored(project_norm_ratio(terms, solved.frame, k, td.n_terms, sparseness_u), k, "ratio-u")
+        discard(solved)
         if measure:
             _steps(td, steps, i, u, old, v)
+        discard(old)
     return FitResult(u, v, k, steps)
 
 
@@ -195,59 +232,76 @@ def plsa_baseline(td: TermDoc, k: int, *, max_iter: int = 10, seed: int = 0) ->
         total = f.agg(F.array(*[F.sum(F.col("w")[t]) for t in range(k)]).alias("s")).first()["s"]
         return f.select("row", F.array(*[F.col("w")[t] / F.lit(float(total[t] or 1.0)) for t in range(k)]).alias("w"))
 
-    u = _stored(normalised(initial_guess(td, k, seed=seed).frame), k, "plsa-u")
-    v = doc_guess(td, k, seed)
+    u = stored(normalised(initial_guess(td, k, seed=seed).frame), k, "plsa-u")
+    guess = doc_guess(td, k, seed)
     share = F.aggregate("w", F.lit(0.0), lambda a, x: a + x)
-    v = _stored(v.frame.select("row", F.transform("w", lambda x: x / share).alias("w")), k, "plsa-v")
+    v = stored(guess.frame.select("row", F.transform("w", lambda x: x / share).alias("w")), k, "plsa-v")
+    discard(guess)
     steps = []
+    sums = [F.sum(f"c{t}").alias(f"c{t}") for t in range(k)]
+    w = F.array(*[f"c{t}" for t in range(k)])
     for i in range(1, max_iter + 1):
         at = n.join(u.frame.toDF("term", "p"), "term").join(v.frame.toDF("doc_id", "q"), "doc_id")
-        at = at.withColumn("z", F.zip_with("p", "q", lambda a, b: a * b)).withColumn("all", F.aggregate("z", F.lit(0.0), lambda a, x: a + x))
-        post = written(at.where("all > 0").select("term", "doc_id", *[(F.col("x") * F.col("z")[t] / F.col("all")).alias(f"c{t}") for t in range(k)], (F.col("x") * F.log("all")).alias("ll")), "plsa-post")
-        sums = [F.sum(f"c{t}").alias(f"c{t}") for t in range(k)]
-        w = F.array(*[f"c{t}" for t in range(k)])
-        new_u = post.groupBy(F.col("term").alias("row")).agg(*sums).select("row", w.alias("w"))
+        at = at.withColumn("z", F.zip_with("p", "q", lambda a, b: a * b)).withColumn("all", F.aggregate("z", F.lit(0.0), lambda a, x: a + x)).where("all > 0")
+        # the posterior has an entry for each of A's: it is summed where it is made, once for each side, and never kept
+        post = at.select("term", "doc_id", *[(F.col("x") * F.col("z")[t] / F.col("all")).alias(f"c{t}") for t in range(k)], (F.col("x") * F.log("all")).alias("ll"))
+        seen = Observation()
+        raw = stored(post.observe(seen, F.sum("ll").alias("ll")).groupBy(F.col("term").alias("row")).agg(*sums).select("row", w.alias("w")), k, "plsa-sums")
         new_v = post.groupBy(F.col("doc_id").alias("row")).agg(*sums).select("row", w.alias("w"))
-        u = _stored(normalised(new_u), k, "plsa-u")
-        v = _stored(new_v.select("row", F.transform("w", lambda x: x / share).alias("w")), k, "plsa-v")
-        steps.append((i, 0.0, -float(post.agg(F.sum("ll")).first()[0] or 0.0), u.count(), v.count(), u.count() + v.count(), 0, k, 0.0))
+        v_next = stored(new_v.select("row", F.transform("w", lambda x: x / share).alias("w")), k, "plsa-v")
+        u_next = stored(normalised(raw.frame), k, "plsa-u")
+        for f in (raw, u, v):
+            discard(f)
+        u, v = u_next, v_next
+        steps.append((i, 0.0, -float(seen.get["ll"] or 0.0), u.count(), v.count(), u.count() + v.count(), 0, k, 0.0))
     return FitResult(u, v, k, steps)
 
 
 def lsa_baseline(td: TermDoc, k: int, *, power: int = 6, seed: int = 0) -> tuple[Factor, Factor, np.ndarray]:
     """Truncated SVD by orthogonal iteration on the same two products, without clipping: (U, V, singular values)."""
-    u = initial_guess(td, k, seed=seed)
-    u = _stored(u.frame.select("row", F.transform("w", lambda x: x - F.lit(0.5)).alias("w")), k, "lsa-u")
+    u = stored(initial_guess(td, k, seed=seed).frame.select("row", F.transform("w", lambda x: x - F.lit(0.5)).alias("w")), k, "lsa-u")
 
-    def orthonormal(f: Factor, name: str) -> tuple[Factor, np.ndarray]:
+    def orthonormal(product: DataFrame, name: str) -> tuple[Factor, np.ndarray]:
+        f = stored(product.select("row", F.col("b").alias("w")), k, f"{name}-raw")
         s, q = np.linalg.eigh(linalg.gram(f))
         order = np.argsort(-s)
         s, q = np.sqrt(np.maximum(s[order], TINY)), q[:, order]
-        return _stored(f.frame.select("row", linalg.times("w", q / s).alias("w")), k, name), s
+        out = stored(f.frame.select("row", linalg.times("w", q / s).alias("w")), k, name)
+        discard(f)
+        return out, s
 
-    s = np.zeros(k)
-    v = None
+    s, v = np.zeros(k), None
     for _ in range(power):
-        v, _ = orthonormal(_stored(linalg.doc_product(td, u).select("row", F.col("b").alias("w")), k, "lsa-v"), "lsa-v")
-        u, s = orthonormal(_stored(linalg.term_product(td, v).select("row", F.col("b").alias("w")), k, "lsa-u"), "lsa-u")
+        before, (v, _) = v, orthonormal(linalg.doc_product(td, u), "lsa-v")
+        discard(before)
+        before, (u, s) = u, orthonormal(linalg.term_product(td, v), "lsa-u")
+        discard(before)
     return u, v, s
 
 
 def lda_baseline(td: TermDoc, k: int, *, max_iter: int = 10, seed: int = 0, r: int = 5) -> DataFrame:
     """(topic, rank, term, value) of Spark's online LDA over the counts of all terms; its driver holds the vocabulary."""
+    return lda_model(td, k, max_iter=max_iter, seed=seed, r=r)[0]
+
+
+def lda_model(td: TermDoc, k: int, *, max_iter: int = 10, seed: int = 0, r: int = 5) -> tuple[DataFrame, Factor]:
+    """The strongest terms, and each document's distribution over the topics as V."""
     from pyspark.ml.clustering import LDA
     from pyspark.ml.feature import CountVectorizer
+    from pyspark.ml.functions import vector_to_array
 
     docs = td.coo.groupBy("doc_id").agg(F.flatten(F.collect_list(F.array_repeat("term", F.col("tf").cast("int")))).alias("words"))
     cv = CountVectorizer(inputCol="words", outputCol="features", vocabSize=max(1, td.n_terms)).fit(docs)
-    model = LDA(k=k, maxIter=max_iter, seed=seed, optimizer="online").fit(cv.transform(docs).select("features"))
+    counted = cv.transform(docs).select("doc_id", "features")
+    model = LDA(k=k, maxIter=max_iter, seed=seed, optimizer="online").fit(counted)
+    v = Factor(k, model.transform(counted).select(F.col("doc_id").alias("row"), vector_to_array("topicDistribution").alias("w")))
     vocab = F.array(*[F.lit(x) for x in cv.vocabulary]) if len(cv.vocabulary) <= 200 else None
     tops = model.describeTopics(r).select("topic", F.posexplode(F.arrays_zip("termIndices", "termWeights")).alias("rank", "e"))
     tops = tops.select("topic", (F.col("rank") + 1).alias("rank"), F.col("e.termIndices").alias("i"), F.col("e.termWeights").alias("value"))
     if vocab is not None:
-        return tops.select("topic", "rank", F.element_at(vocab, F.col("i") + 1).alias("term"), "value")
+        return tops.select("topic", "rank", F.element_at(vocab, F.col("i") + 1).alias("term"), "value"), v
     names = td.coo.sparkSession.createDataFrame(list(enumerate(cv.vocabulary)), "i int, term string")
-    return tops.join(names, "i").select("topic", "rank", "term", "value")
+    return tops.join(names, "i").select("topic", "rank", "term", "value"), v
 
 
 def tfidf_terms(td: TermDoc, r: int = 5) -> DataFrame:

@@ -14,6 +14,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.choice import LOCAL_ENTRIES
+from ..session import remove, write_table
 from .matrix import TermDoc
 
 _ARROW = {"string": pa.string(), "bigint": pa.int64(), "long": pa.int64(), "int": pa.int32()}
@@ -27,6 +28,7 @@ class Factor:
     nnz: int | None = None
     rows: list | None = None  # with w: the driver's copy
     w: np.ndarray | None = None
+    path: str | None = None  # of the table that a fit wrote for it and may remove
 
     @property
     def local(self) -> bool:
@@ -67,6 +69,18 @@ def key_kind(frame: DataFrame) -> str:
     return frame.schema["row"].dataType.simpleString()
 
 
+def stored(frame: DataFrame, k: int, name: str, nnz: int | None = None) -> Factor:
+    """A factor written to the shared folder."""
+    frame, path = write_table(frame, name)
+    return Factor(k, frame, nnz, path=path)
+
+
+def discard(f: Factor | None) -> None:
+    """Removes the table of a factor that no later plan reads."""
+    if f is not None and f.path:
+        remove(f.frame.sparkSession, f.path)
+
+
 def pack(long: DataFrame, k: int) -> DataFrame:
     """(row, w) from (row, topic, value)."""
     return long.groupBy("row").agg(F.array(*[F.sum(F.when(F.col("topic") == t, F.col("value")).otherwise(0.0)) for t in range(k)]).alias("w"))
@@ -94,10 +108,14 @@ def initial_guess(td: TermDoc, k: int, *, nnz: int | None = None, seed: int = 0)
         return Factor(k, terms.select("row", w.alias("w")))
     topics = F.explode(F.sequence(F.lit(0), F.lit(k - 1)))
     long = terms.select("row", topics.alias("topic")).withColumn("value", hash_unit(F.col("row"), F.col("topic"), str(seed))).where("value > 0")
-    chosen = long.orderBy(hash_unit(F.col("row"), F.col("topic"), str(seed), "place"), "row", "topic").limit(nnz)
+    placed = long.withColumn("place", hash_unit(F.col("row"), F.col("topic"), str(seed), "place"))
+    # the hash's bound keeps all but about twice the entries wanted from being compared
+    bound = (2 * nnz + 1000) / max(1, td.n_terms * k)
+    some = placed.where(F.col("place") < bound) if bound < 1 else placed
+    chosen = some.orderBy("place", "row", "topic").limit(nnz).select("row", "topic", "value")
     if nnz <= LOCAL_ENTRIES:
         return from_entries(terms.sparkSession, [tuple(r) for r in chosen.collect()], k, "string")
-    return Factor(k, pack(chosen, k))
+    return stored(pack(chosen, k), k, "guess")
 
 
 def nnz(f: Factor) -> int:

@@ -141,13 +141,23 @@ def correction(done: Factor, c: np.ndarray) -> DataFrame:
     return done.frame.select("row", times("w", -c).alias("c"))
 
 
-def solve_docs(td: TermDoc, u: Factor, *, done: tuple[Factor, Factor] | None = None, method: str = "pinv", shift: float = 0.0, ridge: float = 0.0) -> DataFrame:
-    """Document half step for fixed U: (row, w, b) before truncation. done: finished (U1, V1) to be taken off."""
+def _solved(product, f: Factor, g: np.ndarray | None, method: str, shift: float, ridge: float) -> DataFrame:
+    g = gram(f) if g is None else g
+    return apply_gram(product(f), invert_gram(g, method, ridge=ridge), shift)
+
+
+def solve_docs(
+    td: TermDoc, u: Factor, *, done: tuple[Factor, Factor] | None = None, method: str = "pinv", shift: float = 0.0, ridge: float = 0.0, gram_u: np.ndarray | None = None
+) -> DataFrame:
+    """Document half step for fixed U: (row, w, b) before truncation. done: finished (U1, V1) to be taken off; gram_u: U's
+    Gram matrix, if it is known."""
     extra = correction(done[1], cross_gram(done[0], u)) if done else None
-    return apply_gram(doc_product(td, u, extra), invert_gram(gram(u), method, ridge=ridge), shift)
+    return _solved(lambda f: doc_product(td, f, extra), u, gram_u, method, shift, ridge)
 
 
-def solve_terms(td: TermDoc, v: Factor, *, done: tuple[Factor, Factor] | None = None, method: str = "pinv", shift: float = 0.0, ridge: float = 0.0) -> DataFrame:
+def solve_terms(
+    td: TermDoc, v: Factor, *, done: tuple[Factor, Factor] | None = None, method: str = "pinv", shift: float = 0.0, ridge: float = 0.0, gram_v: np.ndarray | None = None
+) -> DataFrame:
     """Term half step for fixed V."""
     extra = correction(done[0], cross_gram(done[1], v)) if done else None
-    return apply_gram(term_product(td, v, extra), invert_gram(gram(v), method, ridge=ridge), shift)
+    return _solved(lambda f: term_product(td, f, extra), v, gram_v, method, shift, ridge)

@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text as T
-from ..session import written
+from ..session import remove, write_table, written
 
 
 @dataclass
@@ -98,11 +98,14 @@ def build_term_doc(
 ) -> TermDoc:
     """The whole preparation, written once; documents without a term still count as documents."""
     n_docs = docs.count()
-    counts = count_terms(docs, how, id_col=id_col, text_col=text_col, stop=stop)
+    counts, path = count_terms(docs, how, id_col=id_col, text_col=text_col, stop=stop), None
     if store:
-        counts = written(counts, "counts")
+        counts, path = write_table(counts, "counts")
     coo = prune_rare(counts, prune or "total", min_count if prune else 1, max_df_share, n_docs)
-    return weight_rows(written(coo.repartition("doc_id").sortWithinPartitions("term"), "matrix") if store else coo, weight, n_docs)
+    if store:
+        coo = written(coo.repartition("doc_id").sortWithinPartitions("term"), "matrix")
+        remove(docs.sparkSession, path)
+    return weight_rows(coo, weight, n_docs)
 
 
 def matrix_from_counts(df: DataFrame, row: str | Column, col: str | Column, value: str | Column | None = None, weight: str = "none") -> TermDoc:
@@ -124,7 +127,7 @@ def matrix_from_arrays(df: DataFrame, id_col: str, array_col: str, clip: str = "
         long = long.withColumn("dim", F.when(F.col("x") < 0, F.concat(F.lit("-"), F.col("dim"))).otherwise(F.col("dim").cast("string"))).withColumn("x", F.abs("x"))
     entries = long.where("x > 0").select(F.col("dim").cast("string").alias("term"), "doc_id", F.col("x").alias("tf"))
     per_row = entries.groupBy("term").agg(F.count(F.lit(1)).alias("df"))
-    return TermDoc(entries.join(F.broadcast(per_row) if clip != "none" else per_row, "term"), "none")
+    return TermDoc(entries.join(per_row, "term"), "none")
 
 
 def corpus_stats(td: TermDoc) -> DataFrame:

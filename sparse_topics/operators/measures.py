@@ -16,6 +16,7 @@ from .matrix import TermDoc
 from .reading import topic_sizes, top_terms
 
 BYTES_PER_ENTRY = 16
+SUM_TOPICS, SET_PAIRS, DENSE_CELLS, MEMBER_PAIRS = 16, 100_000_000, 100_000_000, 100_000_000
 
 
 def residual(new: Factor, old: Factor) -> float:
@@ -26,7 +27,7 @@ def relative_error(td: TermDoc, fit: FitResult, how: str = "trace") -> float:
     """Norm of A - UV' over the norm of A.
 
     'trace': sums and k x k matrices (cancels below about 1e-8); 'entries': differences at A's entries plus the rest by
-    Gram matrices; 'dense': every cell, for small tables.
+    Gram matrices; 'dense': every cell, for tables of at most ``DENSE_CELLS`` of them.
     """
     u, v = fit.u, fit.v
     if how == "trace":
@@ -40,6 +41,8 @@ def relative_error(td: TermDoc, fit: FitResult, how: str = "trace") -> float:
         at = td.entries().join(uu, "term", "left").join(vv, "doc_id", "left").withColumn("p", dot)
         inside = at.agg(F.sum((F.col("x") - F.col("p")) ** 2 - F.col("p") ** 2)).first()[0] or 0.0
         return float(np.sqrt(max(0.0, inside + float((linalg.gram(u) * linalg.gram(v)).sum())) / td.norm_sq))
+    if td.n_terms * td.n_docs > DENSE_CELLS:
+        raise ValueError("too many cells for how='dense'")
     terms, docs = td.coo.select("term").distinct(), td.coo.select("doc_id").distinct()
     cells = terms.crossJoin(docs).join(td.entries(), ["term", "doc_id"], "left").join(uu, "term", "left").join(vv, "doc_id", "left")
     diff = F.coalesce("x", F.lit(0.0)) - dot
@@ -51,18 +54,41 @@ def topic_mask(w: str = "w") -> Column:
     return F.aggregate(F.transform(w, lambda x, i: F.when(x > 0, F.expr("1L")).otherwise(F.expr("0L")) * F.pow(F.lit(2.0), i).cast("long")), F.lit(0).cast("long"), lambda a, x: a + x)
 
 
+def _pairs_allowed(a: DataFrame, b: DataFrame) -> None:
+    pairs = a.count() * b.count()
+    if pairs > SET_PAIRS:
+        raise ValueError(f"{pairs} pairs of topic sets; truncate the factors first")
+
+
 def product_nonzeros(u: Factor, v: Factor) -> DataFrame:
     """One row: cells of UV' that are not zero. A cell is non-zero if its term and document share a topic, so rows are
-    counted by their set of topics and only the sets are paired."""
+    counted by their set of topics and only the sets are paired: up to ``SUM_TOPICS`` topics by subset sums over all
+    possible sets, beyond it set by set, which is refused for more than ``SET_PAIRS`` pairs."""
+    if u.k <= SUM_TOPICS:
+        counts = []
+        for f in (u, v):
+            n = np.zeros(1 << u.k, object)
+            for r in f.frame.groupBy(topic_mask().alias("m")).agg(F.count(F.lit(1)).alias("n")).collect():  # at most 2^k rows
+                n[r["m"]] = r["n"]
+            counts.append(n)
+        within = counts[1].copy()  # rows of V whose topics are a subset of the mask
+        for t in range(u.k):
+            blocks = within.reshape(-1, 2, 1 << t)
+            blocks[:, 1] += blocks[:, 0]
+        apart = int((counts[0] * within[::-1]).sum())  # the complement of a mask stands at the mirrored place
+        total = int(counts[0].sum()) * int(counts[1].sum())
+        return u.frame.sparkSession.createDataFrame([(total - apart,)], "nonzeros long")
     if u.k <= 62:
         a = u.frame.groupBy(topic_mask().alias("a")).agg(F.count(F.lit(1)).alias("na"))
         b = v.frame.groupBy(topic_mask().alias("b")).agg(F.count(F.lit(1)).alias("nb"))
+        _pairs_allowed(a, b)
         pairs = a.crossJoin(F.broadcast(b)).where(F.col("a").bitwiseAND(F.col("b")) != 0)
     else:
         topics = F.filter(F.transform("w", lambda x, i: F.when(x > 0, i)), lambda x: x.isNotNull())
         a = u.frame.groupBy(topics.alias("a")).agg(F.count(F.lit(1)).alias("na"))
         b = v.frame.groupBy(topics.alias("b")).agg(F.count(F.lit(1)).alias("nb"))
-        pairs = a.crossJoin(b).where(F.arrays_overlap("a", "b"))
+        _pairs_allowed(a, b)
+        pairs = a.crossJoin(F.broadcast(b)).where(F.arrays_overlap("a", "b"))
     return pairs.agg(F.coalesce(F.sum(F.col("na") * F.col("nb")), F.lit(0)).cast("long").alias("nonzeros"))
 
 
@@ -83,14 +109,17 @@ def accuracy_terms(counts: DataFrame, n_groups: int) -> DataFrame:
 def topic_accuracy(v: Factor, groups: DataFrame, n_groups: int, how: str = "closed") -> DataFrame:
     """Share of same-group pairs among a topic's members, shifted and scaled so that even mixing is 0 and one group 1.
 
-    groups: (doc_id, group). 'closed' counts members by group; 'pairs' compares members pair by pair (small tables).
-    Topics with fewer than two members have accuracy 1.
+    groups: (doc_id, group). 'closed' counts members by group; 'pairs' compares members pair by pair, for at most
+    ``MEMBER_PAIRS`` of them. Members without a group are not counted. Topics with fewer than two members have accuracy 1.
     """
     topics = v.frame.sparkSession.range(v.k).select(F.col("id").cast("int").alias("topic"))
     rows = v.long().select("topic", F.col("row").alias("doc_id")).join(groups, "doc_id")
     if how == "closed":
         out = accuracy_terms(rows.groupBy("topic", "group").agg(F.count(F.lit(1)).alias("c")), n_groups)
     else:
+        largest = rows.groupBy("topic").count().agg(F.max("count")).first()[0] or 0
+        if largest * largest * v.k > MEMBER_PAIRS:
+            raise ValueError("too many members for how='pairs'")
         a, b = rows.alias("a"), rows.alias("b")
         same = a.join(b, (F.col("a.topic") == F.col("b.topic")) & (F.col("a.doc_id") < F.col("b.doc_id"))).groupBy(F.col("a.topic").alias("topic")).agg(
             F.count_if(F.col("a.group") == F.col("b.group")).alias("pairs"))

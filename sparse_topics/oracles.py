@@ -106,9 +106,9 @@ def trace(iters: int) -> str:
     )
 
 
-def sequential(blocks=2, iters=2, t_u=None, t_v=None, seed=0) -> str:
-    """Rank-one blocks: CTEs su, sv with all topics."""
-    out = [base(), guess(1, seed)]
+def sequential(blocks=2, iters=2, t_u=None, t_v=None, seed=0, block=1) -> str:
+    """Blocks of ``block`` topics (one or two): CTEs u{b}_{i}, v{b}_{i} of each block, doneu, donev with all topics."""
+    out = [base(), guess(block, seed)]
     for b in range(blocks):
         f = "u0"
         for i in range(1, iters + 1):
@@ -117,18 +117,51 @@ def sequential(blocks=2, iters=2, t_u=None, t_v=None, seed=0) -> str:
             def taken(target: str, own: str, other: str) -> str | None:
                 if not b:
                     return None
-                c = f"(SELECT p.topic AS t, sum(p.value * q.value) AS c FROM done{own}{b} p JOIN {target} q ON p.row = q.row GROUP BY 1)"
-                return f"SELECT d.row, 0 AS topic, -d.value * c.c AS v FROM done{other}{b} d JOIN {c} c ON d.topic = c.t"
+                c = f"(SELECT p.topic AS t, q.topic AS s, sum(p.value * q.value) AS c FROM done{own}{b} p JOIN {target} q ON p.row = q.row GROUP BY ALL)"
+                return f"SELECT d.row, c.s AS topic, -d.value * c.c AS v FROM done{other}{b} d JOIN {c} c ON d.topic = c.t"
 
-            out.append(half(v, f, "v", 1, t_v, extra=taken(f, "u", "v")))
-            out.append(half(u, v, "u", 1, t_u, extra=taken(v, "v", "u")))
+            out.append(half(v, f, "v", block, t_v, extra=taken(f, "u", "v")))
+            out.append(half(u, v, "u", block, t_u, extra=taken(v, "v", "u")))
             f = u
         for side in "uv":
             earlier = f"SELECT * FROM done{side}{b} UNION ALL " if b else ""
-            out.append(f"done{side}{b + 1} AS MATERIALIZED ({earlier}SELECT row, {b} AS topic, value FROM {side}{b}_{iters})")
+            out.append(f"done{side}{b + 1} AS MATERIALIZED ({earlier}SELECT row, CAST(topic + {b * block} AS INTEGER) AS topic, value FROM {side}{b}_{iters})")
     return "WITH " + ", ".join(out)
 
 
+def sequential_trace(blocks: int = 2, iters: int = 2) -> str:
+    """(iter, residual, error, nnz_u, nnz_v): the residual of each block's own U, the error of all topics so far."""
+    norm = "(SELECT sum(x * x) FROM a)"
+    rest, rows = norm, []
+    for b in range(blocks):
+        for i in range(1, iters + 1):
+            u, v = f"u{b}_{i}", f"v{b}_{i}"
+            left = f"({rest} - 2 * (SELECT sum(value * b) FROM {u}) + {gram_dot(u, v)})"
+            rows.append(
+                f"SELECT {b * iters + i} AS iter, round({change(u, f'u{b}_{i - 1}' if i > 1 else 'u0')}, 6) AS residual, round(sqrt(greatest(0, {left}) / {norm}), 6) AS error, "
+                f"(SELECT count(*) FROM {u}) AS nnz_u, (SELECT count(*) FROM {v}) AS nnz_v"
+            )
+        rest = left
+    return " " + " UNION ALL ".join(rows)
+
+
+def mean_accuracy(fit: str, v: str, groups: str, j: int, k: int = 2) -> str:
+    """The fit's CTEs and acc (topic, n_docs, …, acc), unrounded."""
+    return fit + ", acc AS (" + accuracy(v, groups, j, k).replace("round(CASE", "(CASE").replace("END, 6)", "END)") + ")"
+
+
+def either(*statements: str) -> str:
+    """Statements with CTEs of their own, one under the other."""
+    return " UNION ALL ".join(f"SELECT * FROM ({s})" for s in statements)
+
+
+def peak(iters: int) -> str:
+    """Most entries of U and V at once, the first guess included."""
+    n = lambda f: f"(SELECT count(*) FROM {f}{' WHERE value > 0' if f == 'u0' else ''})"
+    held = [n("u0")] + [f"{n(f'u{i - 1}')} + {n(f'v{i}')}" for i in range(1, iters + 1)] + [f"{n(f'u{i}')} + {n(f'v{i}')}" for i in range(1, iters + 1)]
+    return f"greatest({', '.join(held)})"
+
+
 def accuracy(v: str, groups: str, j: int, k: int) -> str:
     """(topic, n_docs, same_pairs, floor_pairs, all_pairs, acc)."""
     return f""" SELECT CAST(t.topic AS INTEGER) AS topic, coalesce(n_docs, 0) AS n_docs, coalesce(same_pairs, 0) AS same_pairs, coalesce(floor_pairs, 0) AS floor_pairs, coalesce(all_pairs, 0) AS all_pairs,

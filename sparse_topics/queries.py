@@ -1,7 +1,8 @@
 """The registered queries of the methods and what surrounds them, each with its statement for DuckDB where SQL can say it.
 
-Iterated methods run a few iterations on the whole ``documents`` table, so that a statement can unroll
-them. The workloads w* have no statement and run with the defaults of their functions.
+Iterated methods run a few iterations on the whole ``documents`` table, so that a statement can unroll them. The workloads
+w* run with the defaults of their functions; those with ``_k2`` run the same code with two topics and two iterations,
+each with its statement.
 """
 
 from __future__ import annotations
@@ -251,9 +252,10 @@ fit_query("sequential_u", O.sequential(**SEQ) + O.entries("doneu2"), lambda s, d
 fit_query("sequential_v", O.sequential(**SEQ) + O.entries("donev2"), lambda s, d, td: rounded(sequential_als(td, 2, limits=Limits(**SEQ), iters_per_block=2, measure=False).v))
 fit_query("sequential_three_blocks", O.sequential(blocks=3, iters=1, **SEQ) + O.entries("doneu3"), lambda s, d, td: rounded(sequential_als(td, 3, limits=Limits(**SEQ), iters_per_block=1, measure=False).u))
 fit_query("sequential_dense", O.sequential() + O.entries("doneu2"), lambda s, d, td: rounded(sequential_als(td, 2, iters_per_block=2, measure=False).u))
-_STEPS = " UNION ALL ".join(f"SELECT {b * 2 + i} AS iter, round({O.change(f'u{b}_{i}', f'u{b}_{i - 1}' if i > 1 else 'u0')}, 6) AS residual, (SELECT count(*) FROM u{b}_{i}) AS nnz_u, (SELECT count(*) FROM v{b}_{i}) AS nnz_v" for b in range(2) for i in (1, 2))
-fit_query("sequential_trace", O.sequential(**SEQ) + " " + _STEPS, lambda s, d, td: sequential_als(td, 2, limits=Limits(**SEQ), iters_per_block=2).trace(s).select("iter", F.round("residual", 6).alias("residual"), "nnz_u", "nnz_v"))
-fit_query("sequential_block2", None, lambda s, d, td: rounded(sequential_als(td, 2, block=2, limits=Limits(20, 200), iters_per_block=2, measure=False).u))
+fit_query("sequential_trace", O.sequential(**SEQ) + O.sequential_trace(), lambda s, d, td: sequential_als(td, 2, limits=Limits(**SEQ), iters_per_block=2).trace(s).select("iter", F.round("residual", 6).alias("residual"), F.round("error", 6).alias("error"), "nnz_u", "nnz_v"))
+PAIRED = {"t_u": 40, "t_v": 400}
+fit_query("sequential_block2", O.sequential(block=2, **PAIRED) + O.entries("doneu2"), lambda s, d, td: rounded(sequential_als(td, 2, block=2, limits=Limits(**PAIRED), iters_per_block=2, measure=False).u))
+fit_query("sequential_block2_v", O.sequential(block=2, **PAIRED) + O.entries("donev2"), lambda s, d, td: rounded(sequential_als(td, 2, block=2, limits=Limits(**PAIRED), iters_per_block=2, measure=False).v))
 
 # ---- reading a model ------------------------------------------------------------------------------------------------
 
@@ -311,7 +313,7 @@ fit_query("topic_accuracy_lang", FIT + O.accuracy("v2", _groups_sql("lang"), 4,
 fit_query("topic_accuracy_source", FIT + O.accuracy("v2", _groups_sql("source"), 20, 2), _accuracy("source", 20))
 fit_query("topic_accuracy_quality", FIT + O.accuracy("v2", _groups_sql("quality"), 2, 2), _accuracy("quality", 2))
 fit_query("topic_accuracy_pairs", FIT + O.accuracy("v2", _groups_sql("lang"), 4, 2), _accuracy("lang", 4, "pairs"))
-_MEAN = FIT + ", acc AS (" + O.accuracy("v2", _groups_sql("lang"), 4, 2).replace("round(CASE", "(CASE").replace("END, 6)", "END)") + ") SELECT round(avg(acc), 6) AS mean_acc, round(avg(acc) FILTER (n_docs > 1), 6) AS mean_live, count(*) FILTER (n_docs > 1) AS n_live FROM acc"
+_MEAN = O.mean_accuracy(FIT, "v2", _groups_sql("lang"), 4) + " SELECT round(avg(acc), 6) AS mean_acc, round(avg(acc) FILTER (n_docs > 1), 6) AS mean_live, count(*) FILTER (n_docs > 1) AS n_live FROM acc"
 fit_query("mean_accuracy", _MEAN, lambda s, d, td: M.mean_accuracy(_fit(td).v, X.groups(s, d), 4).select(F.round("mean_acc", 6).alias("mean_acc"), F.round("mean_live", 6).alias("mean_live"), "n_live"))
 _OVER = FIT + f", p AS (SELECT topic, row FROM {RANKED} WHERE rank <= 5), q AS (SELECT topic, row FROM (SELECT topic, row, row_number() OVER (PARTITION BY topic ORDER BY {O.rank_of()} DESC, row) AS r FROM u1) WHERE r <= 5) SELECT p.topic AS topic_a, q.topic AS topic_b, count(*) AS shared, round(count(*) / ((SELECT count(*) FROM p x WHERE x.topic = p.topic) + (SELECT count(*) FROM q y WHERE y.topic = q.topic) - count(*))::DOUBLE, 6) AS jaccard FROM p JOIN q USING (row) GROUP BY p.topic, q.topic"
 fit_query("topic_overlap", _OVER, lambda s, d, td: M.topic_overlap(_fit(td).u, sparse_als(td, 2, Limits(**BOTH), max_iter=1, measure=False).u).withColumn("jaccard", F.round("jaccard", 6)))
@@ -338,9 +340,11 @@ fit_query("lsa", None, lambda s, d, td: s.createDataFrame([(i, float(x)) for i,
 # ---- workloads in whole form -----------------------------------------------------------------------------------------
 
 fit_query("w1_density", None, lambda s, d, td: X.run_density_table(s, td))
+query(None, "w1_density_en")(lambda s, d: X.run_density_table(s, X.corpus(s, d, "en"), name="D-en"))
 query(None, "w2_convergence")(lambda s, d: X.run_convergence_trace(s, X.corpus(s, d, "en")))
 query(None, "w3_topic_tables")(lambda s, d: X.run_topic_tables(s, X.corpus(s, d, "en"))[0])
-fit_query("w4_nnz_sweep", None, lambda s, d, td: X.run_nnz_sweep(s, td, 4))
+query(None, "w3_topic_overlap")(lambda s, d: X.run_topic_tables(s, X.corpus(s, d, "en"))[1])
+query(None, "w4_nnz_sweep")(lambda s, d: X.run_nnz_sweep(s, X.corpus(s, d, "en"), 5))
 fit_query("w5_skew", None, lambda s, d, td: X.run_skew(s, td))
 fit_query("w6_accuracy_sweep", None, lambda s, d, td: X.run_nnz_sweep(s, td, 4, measure="accuracy", labels=X.groups(s, d), iters=50))
 fit_query("w7_during_after", None, lambda s, d, td: X.run_during_vs_after(s, td, X.groups(s, d), 4))
@@ -351,6 +355,59 @@ fit_query("w11_timing", None, lambda s, d, td: X.run_timing(s, td))
 fit_query("w12_seed_spread", None, lambda s, d, td: X.run_seed_spread(s, td, X.groups(s, d), 4))
 fit_query("w14_related_methods", None, lambda s, d, td: X.run_related_methods(s, td, X.groups(s, d), 4))
 
+# ---- workloads with two topics and two iterations, which a statement can unroll ---------------------------------------
+
+LANG = _groups_sql("lang")
+
+
+def _measured(df: DataFrame) -> DataFrame:
+    return df.select("mode", "measure", F.round("value", 6).alias("value"))
+
+
+_DENSE = O.als()
+_CELLS = "CAST((SELECT count(DISTINCT term) FROM a) * (SELECT count(*) FROM documents) AS DOUBLE)"
+_ZEROS = _DENSE + _MASKS + f""" SELECT 'dense' AS mode, 'zeros of A' AS measure, round(1 - (SELECT count(*) FROM a) / {_CELLS}, 6) AS value
+UNION ALL SELECT 'dense', 'zeros of U', round(1 - (SELECT count(*) FROM u2) / CAST(2 * (SELECT count(DISTINCT term) FROM a) AS DOUBLE), 6)
+UNION ALL SELECT 'dense', 'zeros of V', round(1 - (SELECT count(*) FROM v2) / CAST(2 * (SELECT count(*) FROM documents) AS DOUBLE), 6)
+UNION ALL SELECT 'dense', 'zeros of UV\'\'', round(1 - (SELECT count(*) FROM um JOIN vm ON (um.m & vm.m) <> 0) / {_CELLS}, 6)""".replace("\\'\\'", "''")
+fit_query("w1_density_k2", _ZEROS, lambda s, d, td: _measured(X.run_density_table(s, td, 2, 2)))
+
+
+def _skew_sql(mode: str, **limits) -> str:
+    sizes = "SELECT CAST(t.t AS INTEGER) AS topic, count(u2.row) AS nnz FROM range(2) t(t) LEFT JOIN u2 ON u2.topic = t.t GROUP BY 1"
+    return O.als(**limits) + f""", z AS ({sizes}), r AS (SELECT *, row_number() OVER (ORDER BY nnz, topic) AS r FROM z)
+SELECT '{mode}' AS mode, 'entries of topic ' || topic AS measure, CAST(nnz AS DOUBLE) AS value FROM z
+UNION ALL SELECT '{mode}', 'gini', round(CAST(sum((2 * r - 3) * nnz) AS DOUBLE) / (2 * sum(nnz)), 6) FROM r
+UNION ALL SELECT '{mode}', 'largest share', round(CAST(max(nnz) AS DOUBLE) / sum(nnz), 6) FROM r"""
+
+
+fit_query("w5_skew_k2", O.either(_skew_sql("whole", t_u=20), _skew_sql("tiny", t_u=10, t_v=20), _skew_sql("topic", t_u=10, scope="topic")), lambda s, d, td: _measured(X.run_skew(s, td, 2, 20, 2)))
+
+
+def _mean_row(fit: str, v: str, mode: str, live: bool = False) -> str:
+    more = f" UNION ALL SELECT '{mode}', 'live topics', CAST(count(*) FILTER (n_docs > 1) AS DOUBLE) FROM acc" if live else ""
+    return O.mean_accuracy(fit, v, LANG, 4) + f" SELECT '{mode}' AS mode, 'mean accuracy' AS measure, round(avg(acc), 6) AS value FROM acc{more}"
+
+
+_LATER = _DENSE + ", " + O.cut("tb", "(SELECT row, topic, value, b FROM v2)", 200)
+fit_query("w7_during_after_k2", O.either(_mean_row(O.als(t_v=200), "v2", "during"), _mean_row(_LATER, "tb", "after")), lambda s, d, td: _measured(X.run_during_vs_after(s, td, X.groups(s, d), 4, 2, (200,), 2)))
+_PEAKS = O.either(
+    _DENSE + f" SELECT 'dense' AS mode, 'peak entries' AS measure, CAST({O.peak(2)} AS DOUBLE) AS value",
+    O.als(t_u=50, t_v=50, nnz=400) + f" SELECT 'guess 400' AS mode, 'peak entries' AS measure, CAST({O.peak(2)} AS DOUBLE) AS value",
+)
+fit_query("w8_peak_nnz_k2", f"WITH p AS ({_PEAKS}) SELECT * FROM p UNION ALL SELECT 'guess 400', 'dense over sparse', round(max(value) FILTER (mode = 'dense') / max(value) FILTER (mode <> 'dense'), 6) FROM p", lambda s, d, td: _measured(X.run_peak_nnz(s, td, 2, (50,), (400,), 2)))
+
+
+def _tops(fit: str, u: str, mode: str) -> str:
+    rank = f"CAST(row_number() OVER (PARTITION BY topic ORDER BY {O.rank_of()} DESC, row) AS INTEGER)"
+    return fit + f" SELECT '{mode}' AS mode, topic, rank, row AS term, round(value, 6) AS value FROM (SELECT topic, row, value, {rank} AS rank FROM {u}) WHERE rank <= 5"
+
+
+fit_query("w9_even_topics_k2", O.either(_tops(O.als(t_u=10, scope="topic"), "u2", "topic"), _tops(O.sequential(iters=1, t_u=10), "doneu2", "sequential")),
+          lambda s, d, td: X.run_even_topics(s, td, 2, 10, 2).select("mode", "topic", "rank", "term", F.round("value", 6).alias("value")))
+fit_query("w10_even_accuracy_k2", O.either(_mean_row(O.als(t_u=20, t_v=200), "v2", "whole", True), _mean_row(O.als(t_u=10, t_v=100, scope="topic"), "v2", "topic", True), _mean_row(O.sequential(iters=1, t_u=10, t_v=100), "donev2", "sequential", True)),
+          lambda s, d, td: _measured(X.run_even_accuracy(s, td, X.groups(s, d), 4, 2, 20, 200, 2, (0,))))
+
 _HOURS = "event_type || '|' || CAST(hour(ts) AS VARCHAR)"
 for _n, _key, _src in (
     ("w13_customer_part", "customer x part", "SELECT CAST(l_partkey AS VARCHAR) AS term, o_custkey AS doc_id, count(*) AS tf FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY ALL"),
@@ -495,13 +552,8 @@ def sample_stratified(spark, sf_dir):
     return L.sample_docs(load_table(spark, sf_dir, DOCS), {"en": 0.1, "fr": 0.5, "de": 0.5, "es": 0.5}, 1, "lang").select("doc_id", "lang")
 
 
-@query("SELECT a.p_name AS a, b.p_name AS b, levenshtein(a.p_name, b.p_name) AS distance FROM (SELECT DISTINCT p_name FROM part) a JOIN (SELECT DISTINCT p_name FROM part) b ON a.p_name < b.p_name AND substr(a.p_name, 1, 3) = substr(b.p_name, 1, 3) AND levenshtein(a.p_name, b.p_name) <= 3")
-def near_terms(spark, sf_dir):
-    return L.near_terms(load_table(spark, sf_dir, "part").select(F.col("p_name").alias("term")), 3, prefix=3)
-
-
 @query("SELECT a.p_name AS a, b.p_name AS b, levenshtein(a.p_name, b.p_name) AS distance FROM (SELECT DISTINCT p_name FROM part) a JOIN (SELECT DISTINCT p_name FROM part) b ON a.p_name < b.p_name AND levenshtein(a.p_name, b.p_name) <= 3")
-def near_terms_anywhere(spark, sf_dir):
+def near_terms(spark, sf_dir):
     return L.near_terms(load_table(spark, sf_dir, "part").select(F.col("p_name").alias("term")), 3)
 
 

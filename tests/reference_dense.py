@@ -80,3 +80,20 @@ def accuracy(groups, j):
     even = [d // j + (i < d % j) for i in range(j)]
     floor = sum(e * (e - 1) // 2 for e in even)
     return (same - floor) / (d * (d - 1) // 2 - floor)
+
+
+def norm_ratio(x, l1, l2):
+    """The closest non-negative vector with the given sum and norm."""
+    n = len(x)
+    s = x + (l1 - x.sum()) / n
+    zero = np.zeros(n, bool)
+    while True:
+        m = np.where(zero, 0.0, l1 / (n - zero.sum()))
+        d = s - m
+        a, b, c = (d * d).sum(), 2 * (m * d).sum(), (m * m).sum() - l2 * l2
+        s = m + (-b + np.sqrt(max(0.0, b * b - 4 * a * c))) / (2 * a) * d
+        if (s >= -1e-12).all():
+            return clip(s)
+        zero |= s < 0
+        s[zero] = 0.0
+        s[~zero] -= (s.sum() - l1) / (~zero).sum()

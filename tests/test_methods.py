@@ -10,10 +10,11 @@ from sparse_topics.operators import linalg
 from sparse_topics.operators import measures as M
 from sparse_topics.operators import reading as R
 from sparse_topics.operators.als import projected_als, sparse_als, truncate_after
-from sparse_topics.operators.factors import Factor, from_local, hash_unit, initial_guess
-from sparse_topics.operators.matrix import TermDoc, matrix_from_arrays, matrix_from_counts, prune_rare
-from sparse_topics.operators.sequential import sequential_als
-from sparse_topics.operators.sparsify import Limits, keep_above, keep_largest, keep_largest_per_topic, kth_largest
+from sparse_topics.operators.factors import Factor, from_local, hash_unit, initial_guess, localized
+from sparse_topics.operators.matrix import TermDoc, build_term_doc, matrix_from_arrays, matrix_from_counts, prune_rare
+from sparse_topics.operators.sequential import block_of, sequential_als
+from sparse_topics.operators import sparsify
+from sparse_topics.operators.sparsify import Limits, keep_above, keep_largest, keep_largest_per_topic, kth_largest, kth_largest_of
 from sparse_topics.plans.choice import choose_join, choose_layout, plan_text
 
 N, DOCS, K = 14, 11, 3
@@ -47,7 +48,7 @@ def start(td, k=K, **o):
     return f, dense(f, N)
 
 
-LIMITS = [Limits(), Limits(9), Limits(None, 7), Limits(9, 7), Limits(9, 7, ties="keep"), Limits(4, 3, scope="topic"), Limits(tau_u=0.3, tau_v=0.1), Limits(0, 5)]
+LIMITS = [Limits(), Limits(4, 3, scope="topic", ties="keep"), Limits(9), Limits(None, 7), Limits(9, 7), Limits(9, 7, ties="keep"), Limits(4, 3, scope="topic"), Limits(tau_u=0.3, tau_v=0.1), Limits(0, 5)]
 
 
 @pytest.mark.parametrize("limits", LIMITS, ids=str)
@@ -96,6 +97,57 @@ def test_sequential(planted):
     assert np.allclose(dense(one.u, N), dense(whole.u, N))
 
 
+@pytest.mark.parametrize("limits", [Limits(9, 7), Limits()], ids=str)
+def test_blocks_of_two_topics(planted, limits):
+    a, td = planted
+    _, u0 = start(td, 2)
+    fit = sequential_als(td, 2, block=2, limits=limits, iters_per_block=3)
+    u, v = D.sequential(a, u0, 2, 3, limits.t_u, limits.t_v)
+    assert np.allclose(dense(fit.u, N), u, atol=1e-8) and np.allclose(dense(fit.v, DOCS, False), v, atol=1e-8)
+    # the error of all topics so far, iteration by iteration
+    first = D.als(a, u0, 3, limits.t_u, limits.t_v)
+    want = [t[1] for t in first[2]]
+    for i in (1, 2, 3):
+        u2, v2, _ = D.als(a, u0, i, limits.t_u, limits.t_v, done=first[:2])
+        want.append(np.linalg.norm(a - first[0] @ first[1].T - u2 @ v2.T) / np.linalg.norm(a))
+    assert np.allclose([s[2] for s in fit.steps], want)
+    assert [r.block for r in block_of(fit.trace(td.coo.sparkSession), 3).orderBy("iter").collect()] == [0, 0, 0, 1, 1, 1]
+
+
+def test_fresh_guesses_for_blocks(planted):
+    a, td = planted
+    fit = sequential_als(td, 2, limits=Limits(5, 4), iters_per_block=2, seed=3, init_per_block="fresh")
+    u1, v1, _ = D.als(a, start(td, 1, seed=3)[1], 2, 5, 4)
+    u2, _, _ = D.als(a, start(td, 1, seed=4)[1], 2, 5, 4, done=(u1, v1))
+    assert np.allclose(dense(fit.u, N), np.hstack([u1, u2]))
+
+
+def test_stops_when_u_stands_still(planted):
+    a, td = planted
+    init, u0 = start(td)
+    fit = sparse_als(td, K, Limits(9, 7), init=init, max_iter=40, tol=1e-6, measure=False)
+    residuals = [t[0] for t in D.als(a, u0, 40, 9, 7)[2]]
+    first = next(i for i, r in enumerate(residuals, 1) if r <= 1e-6)
+    assert len(fit.steps) == first < 40
+
+
+@pytest.mark.parametrize("method, ridge", [("pinv", 0.0), ("cholesky", 0.0), ("ridge", 0.5)])
+def test_inverses(planted, method, ridge):
+    a, td = planted
+    init, u0 = start(td)
+    g = u0.T @ u0 + ridge * np.eye(K)
+    got = Factor(K, linalg.solve_docs(td, init, method=method, ridge=ridge).select("row", "w"))
+    assert np.allclose(dense(got, DOCS, False), np.maximum(a.T @ u0 @ np.linalg.inv(g), 0))
+    assert np.allclose(linalg.invert_gram(u0.T @ u0, method, ridge=ridge), np.linalg.inv(g))
+
+
+def test_a_small_factor_moves_to_the_driver(planted):
+    _, td = planted
+    f = initial_guess(td, K)
+    near = localized(f)
+    assert near.local and np.allclose(dense(near, N), dense(f, N)) and localized(near) is near and not localized(f, 3).local
+
+
 def test_block_step_is_least_squares_on_the_rest(planted, spark):
     a, td = planted
     rng = np.random.default_rng(0)
@@ -242,6 +294,7 @@ def test_other_baselines(planted):
     assert all(y[2] <= x[2] + 1e-9 for x, y in zip(fit.steps, fit.steps[1:]))
     u, v, _ = D.als(a, u0, 2, shift=0.2)
     assert np.allclose(dense(B.l1_nmf(td, K, 0.4, 0.4, max_iter=2).u, N), u)
+    assert B.norm_ratio_nmf(td, K, 0.3, max_iter=1).u.count() > 0
     ratio = M.norm_ratio(B.norm_ratio_nmf(td, K, 0.6, max_iter=2).u, N).collect()
     assert all(r.ratio == pytest.approx(0.6, abs=1e-6) for r in ratio)
     p = B.plsa_baseline(td, K, max_iter=4)
@@ -308,6 +361,96 @@ def test_weighting(spark):
     assert td.facts()["n_terms"] == 2 and td.norm_sq == pytest.approx(10.25)
 
 
+def test_other_weights_and_prunings(spark):
+    docs = spark.createDataFrame([(1, "a a b c"), (2, "a d d"), (3, "a b")], "doc_id long, text string")
+    x = {(r.term, r.doc_id): r.x for r in build_term_doc(docs, stop=(), weight="tfidf", prune=None).entries().collect()}
+    assert x == pytest.approx({("a", 1): 0.0, ("b", 1): np.log(1.5), ("c", 1): np.log(3), ("a", 2): 0.0, ("d", 2): 2 * np.log(3), ("a", 3): 0.0, ("b", 3): np.log(1.5)})
+    assert {r.term for r in build_term_doc(docs, stop=(), max_df_share=0.7).coo.collect()} == {"b", "d"}
+
+
+@pytest.mark.parametrize("sparseness", [0.2, 0.6, 0.9])
+def test_norm_ratio_projection_equals_dense(spark, sparseness):
+    rng = np.random.default_rng(int(sparseness * 10))
+    x = np.maximum(rng.standard_normal((40, 3)), 0) * [1.0, 10.0, 0.1]
+    x[:, 2] += 0.05  # a column without zeros
+    rows = [(f"t{i:02d}", x[i].tolist()) for i in range(40) if x[i].any()]
+    solved = spark.createDataFrame(rows, "row string, w array<double>")
+    terms = spark.createDataFrame([(f"t{i:02d}",) for i in range(40)], "row string")
+    got = dense(Factor(3, B.project_norm_ratio(terms, solved, 3, 40, sparseness)), 40)
+    for j in range(3):
+        l2 = np.linalg.norm(x[:, j])
+        want = D.norm_ratio(x[:, j], l2 * (np.sqrt(40) - sparseness * (np.sqrt(40) - 1)), l2)
+        assert np.allclose(got[:, j], want, atol=1e-9) and np.linalg.norm(want) == pytest.approx(l2)
+
+
+def test_thresholds_of_all_topics(spark, monkeypatch):
+    rng = np.random.default_rng(6)
+    values = np.round(rng.random((400, 3)) ** 3, 2)  # many ties
+    values[:, 2] = np.where(np.arange(400) < 5, 0.5, 0.0)
+    long = spark.createDataFrame([(i, t, float(values[i, t])) for i in range(400) for t in range(3) if values[i, t] > 0], "row long, topic int, value double").repartition(5)
+    found = kth_largest_of(long, 30, F.col("topic"), collect=10)
+    for t in range(2):
+        x = np.sort(values[:, t])[::-1]
+        assert found[t] == (round(x[29] * 1e12), (x > x[29]).sum(), (x == x[29]).sum())
+    assert found[2] == (0.0, 5, 0)
+    for ties in ("exact", "keep"):
+        rows = lambda df: sorted((r.topic, r.row, r.value) for r in df.collect())
+        by_window, by_threshold = keep_largest_per_topic(long, 30, ties), keep_largest_per_topic(long, 30, ties, local=0)
+        assert rows(by_window) == rows(by_threshold) and by_window.columns == by_threshold.columns
+    monkeypatch.setattr(sparsify, "heap_fits", lambda spark, t: False)
+    assert sorted(map(tuple, keep_largest(long, 100).collect())) == sorted(map(tuple, long.orderBy(F.desc("value"), "row", "topic").limit(100).collect()))
+
+
+def test_single_task_merges_are_bounded(spark, monkeypatch):
+    from sparse_topics.plans import choice
+
+    assert choice.heap_fits(spark, 200_000) and not choice.heap_fits(spark, 300_000)
+    monkeypatch.setattr(choice, "HEAP_ROWS", 100)
+    assert choice.heap_fits(spark, 25) and not choice.heap_fits(spark, 26)
+
+
+def jobs_of(spark, f):
+    spark.sparkContext.setJobGroup("counted", "counted")
+    f()
+    n = len(spark.sparkContext.statusTracker().getJobIdsForGroup("counted"))
+    spark.sparkContext.setJobGroup("rest", "rest")
+    return n
+
+
+def test_iterations_cost_few_jobs_and_no_disk(planted, spark):
+    import glob
+
+    _, td = planted
+    td.facts()
+    folder = spark.conf.get("spark.checkpoint.dir").removeprefix("file://")
+    init = initial_guess(td, K, nnz=6)
+    few, more = (jobs_of(spark, lambda n=n: sparse_als(td, K, Limits(9, 7), init=init, max_iter=n, measure=False)) for n in (2, 6))
+    assert (more - few) / 4 <= 6
+    for make in (lambda n: projected_als(td, K, max_iter=n), lambda n: sparse_als(td, K, Limits(t_u=9), max_iter=n), lambda n: B.multiplicative_nmf(td, K, max_iter=n), lambda n: B.plsa_baseline(td, K, max_iter=n)):
+        before = len(glob.glob(f"{folder}/*"))
+        make(5)
+        assert len(glob.glob(f"{folder}/*")) - before <= 2  # the last U and V
+    before = len(glob.glob(f"{folder}/*"))
+    sequential_als(td, 3, iters_per_block=3)
+    assert len(glob.glob(f"{folder}/*")) - before <= 2
+
+
+def test_guards_refuse_what_grows(planted, monkeypatch):
+    _, td = planted
+    fit = projected_als(td, K, max_iter=1)
+    whole = M.product_nonzeros(fit.u, fit.v).first()[0]
+    monkeypatch.setattr(M, "SUM_TOPICS", 0)
+    assert M.product_nonzeros(fit.u, fit.v).first()[0] == whole
+    for name in ("SET_PAIRS", "DENSE_CELLS", "MEMBER_PAIRS"):
+        monkeypatch.setattr(M, name, 0)
+    with pytest.raises(ValueError):
+        M.product_nonzeros(fit.u, fit.v)
+    with pytest.raises(ValueError):
+        M.relative_error(td, fit, "dense")
+    with pytest.raises(ValueError):
+        M.topic_accuracy(fit.v, td.coo.select("doc_id", F.lit("g").alias("group")).distinct(), 2, "pairs")
+
+
 def test_memory_ratio_and_peak(planted):
     _, td = planted
     dense_fit, sparse_fit = projected_als(td, K, max_iter=2), sparse_als(td, K, Limits(3, 3), init_nnz=3, max_iter=2)

@@ -4,6 +4,7 @@ import math
 import os
 import subprocess
 import sys
+import time
 
 import duckdb
 import numpy as np
@@ -121,10 +122,56 @@ def test_streams_equal_batches(spark, tiny, tmp_path):
     assert have.keys() == want.keys() and all(np.isclose(have[k], want[k]) for k in want)
     q = S.count_stream(S.docs_stream(spark, tiny), str(tmp_path / "counts"), str(tmp_path / "state"))
     q.awaitTermination()
-    assert spark.read.parquet(str(tmp_path / "counts")).count() == count_terms(load_table(spark, tiny, "documents")).count()
-    q, state = S.refit_stream(S.docs_stream(spark, tiny), 1, lambda batch, last: batch.count() + (last or 0), str(tmp_path / "refit"))
-    q.awaitTermination()
-    assert state["model"] == load_table(spark, tiny, "documents").count()
+    assert spark.read.parquet(str(tmp_path / "counts/counts")).count() == count_terms(load_table(spark, tiny, "documents")).count()
+
+
+@pytest.fixture(scope="module")
+def arriving(spark, tiny, tmp_path_factory):
+    """The documents in four files, as a stream of four micro-batches."""
+    folder = str(tmp_path_factory.mktemp("arriving"))
+    docs = load_table(spark, tiny, "documents").select("doc_id", "text")
+    for i in range(4):
+        docs.where(F.col("doc_id") % 4 == i).coalesce(1).write.mode("append").parquet(folder)
+    return lambda: spark.readStream.schema(docs.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+
+
+def test_counts_of_batches_are_merged(spark, tiny, tmp_path, arriving):
+    S.count_stream(arriving(), str(tmp_path / "t"), str(tmp_path / "state")).awaitTermination()
+    docs = load_table(spark, tiny, "documents")
+    want = {r.term: (r.total, r.df) for r in count_terms(docs).groupBy("term").agg(F.sum("tf").alias("total"), F.count(F.lit(1)).alias("df")).collect()}
+    assert spark.read.parquet(str(tmp_path / "t/totals")).select("batch").distinct().count() == 4
+    assert {r.term: (r.total, r.df) for r in S.merged_totals(spark, str(tmp_path / "t")).collect()} == want
+    key = lambda td: sorted(map(tuple, td.coo.select("term", "doc_id", "tf", "df").collect()))
+    assert key(S.matrix_so_far(spark, str(tmp_path / "t"))) == key(build_term_doc(docs, stop=()))
+
+
+def test_refits_start_from_the_last_model_and_survive_a_restart(spark, tiny, tmp_path, arriving):
+    seen = []
+
+    def fit(docs, last):
+        seen.append((docs.count(), None if last is None else sorted(map(tuple, last.u.long().collect()))))
+        return S.warm_als(2, Limits(20, 40), max_iter=1, measure=False)(docs, last)
+
+    table, total = str(tmp_path / "t"), load_table(spark, tiny, "documents").count()
+    S.refit_stream(arriving(), 2, fit, table, str(tmp_path / "state")).awaitTermination()
+    assert [n for n, _ in seen][-1] == total and seen[0][1] is None and len(seen) == 2
+    first = sorted(map(tuple, load_fit(spark, f"{table}/model/batch=1").u.long().collect()))
+    assert seen[1][1] == first  # the second fit started from the first model
+    model, at = S.last_model(spark, table)
+    again = S.warm_als(2, Limits(20, 40), max_iter=1, measure=False)(load_table(spark, tiny, "documents"), load_fit(spark, f"{table}/model/batch=1"))
+    assert at == 3 and {r[:2] for r in map(tuple, model.u.long().collect())} == {r[:2] for r in map(tuple, again.u.long().collect())}
+    S.refit_stream(arriving(), 2, fit, table, str(tmp_path / "state")).awaitTermination()  # nothing new: nothing is fitted
+    assert len(seen) == 2
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    hours = [[0, 1], [30, 31], [40], [2], [60]]  # 2 comes when the watermark has long passed it
+    for i, h in enumerate(hours):
+        rows = spark.createDataFrame([(x, "click", 1.0) for x in h], "h int, event_type string, value double")
+        rows.select(F.timestamp_seconds(F.col("h") * 3600).alias("ts"), "event_type", "value").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("ts timestamp, event_type string, value double").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    out, late = S.drain_counted(S.event_windows(stream, "1 hour", watermark="2 hours").select("start", "n"), spark, "test-late")
+    assert late == 1 and out.agg(F.sum("n")).first()[0] == 5
 
 
 def test_watermarked_windows_and_interval(spark, tiny):
@@ -159,8 +206,11 @@ def test_shared_folder_without_a_setting():
 
     from sparse_topics.session import shared_dir
 
-    bare = SimpleNamespace(conf=SimpleNamespace(get=lambda key, default=None: default), sparkContext=SimpleNamespace(applicationId="app-1"))
-    assert shared_dir(bare) == shared_dir(bare) and shared_dir(bare).startswith("file://")
+    bare = lambda master: SimpleNamespace(conf=SimpleNamespace(get=lambda key, default=None: default), sparkContext=SimpleNamespace(applicationId="app-1", master=master))
+    assert shared_dir(bare("local[4]")) == shared_dir(bare("local[4]")) and shared_dir(bare("local[4]")).startswith("file://")
+    for master in ("yarn", "spark://host:7077", "local-cluster[2,1,1024]"):
+        with pytest.raises(RuntimeError):
+            shared_dir(bare(master))
 
 
 def test_topic_drift_and_watermarked_dedup(spark, tmp_path):
@@ -170,9 +220,27 @@ def test_topic_drift_and_watermarked_dedup(spark, tmp_path):
     seen = stream.withColumn("ts", F.timestamp_seconds("n"))
     kept = S.drain(S.dedup_stream(seen, ts="ts").select("text"), spark, "test-dedup")
     assert sorted(r.text for r in kept.collect()) == ["a", "b", "c", "d"]
+    with pytest.raises(ValueError):
+        S.topic_drift(stream.select("user_id", "topic"))
     pytest.importorskip("google.protobuf")
-    got = S.drain(S.topic_drift(stream.select("user_id", "topic")), spark, "test-drift")
-    assert {tuple(r) for r in got.collect()} == {(1, 0, 2), (1, 2, 0)}
+    spark.conf.set(*S.ROCKSDB)
+    try:
+        got = S.drain(S.topic_drift(stream.select("user_id", "topic")), spark, "test-drift")
+        assert {tuple(r) for r in got.collect()} == {(1, 0, 2), (1, 2, 0)}
+        # with a time to live the state follows the clock, and such a query goes on until it is stopped
+        out = str(tmp_path / "out")
+        query = S.topic_drift(stream.select("user_id", "topic"), ttl_ms=3_600_000).writeStream.format("parquet").option("path", out).option("checkpointLocation", str(tmp_path / "state")).start()
+        try:
+            rows, end = set(), time.time() + 60
+            while len(rows) < 2 and time.time() < end:
+                time.sleep(1)
+                if query.lastProgress:
+                    rows = {tuple(r) for r in spark.read.schema("user_id long, old int, new int").parquet(out).collect()} if os.path.isdir(out) else set()
+            assert rows == {(1, 0, 2), (1, 2, 0)}
+        finally:
+            query.stop()
+    finally:
+        spark.conf.unset(S.ROCKSDB[0])
 
 
 def test_workloads_are_registered_whole(monkeypatch):
