@@ -44,12 +44,17 @@ class HalfStep:
     candidates: int  # positive entries before truncation, -1 if not counted
 
 
-def _local_step(solved: DataFrame, k: int, limits: Limits, side: str) -> HalfStep:
-    """Truncated to few entries: they come to the driver with their products."""
+def _local_step(solved: DataFrame, k: int, limits: Limits, side: str, gram: np.ndarray | None = None) -> HalfStep:
+    """Truncated to few entries: they come to the driver with their products, or with their plain solutions, which the Gram
+    matrix they were solved with turns into products."""
     spark = solved.sparkSession
     kind = key_kind(solved)
     seen = Observation()
-    long = solved.select("row", F.posexplode(F.arrays_zip("w", "b")).alias("topic", "e")).select("row", "topic", F.col("e.w").alias("value"), F.col("e.b").alias("b")).where("value > 0")
+    if gram is None:
+        long = solved.select("row", F.posexplode(F.arrays_zip("w", "b")).alias("topic", "e")).select("row", "topic", F.col("e.w").alias("value"), F.col("e.b").alias("b"))
+    else:
+        long = solved.select("row", F.posexplode("w").alias("topic", "value"), "s")
+    long = long.where("value > 0")
     got = truncate(long.observe(seen, F.count(F.lit(1)).alias("n")), limits, side).collect()
     place: dict = {}
     for r in got:
@@ -57,7 +62,7 @@ def _local_step(solved: DataFrame, k: int, limits: Limits, side: str) -> HalfSte
     w, cross = np.zeros((len(place), k)), 0.0
     for r in got:
         w[place[r["row"]], r["topic"]] = r["value"]
-        cross += r["value"] * r["b"]
+        cross += r["value"] * (r["b"] if gram is None else float(np.dot(r["s"], gram[:, r["topic"]])))
     f = from_local(spark, list(place), w, k, kind)
     return HalfStep(f, w.T @ w, cross, seen.get.get("n", -1) if got else 0)
 
@@ -82,9 +87,15 @@ def _written_step(solved: DataFrame, k: int, limits: Limits, side: str) -> HalfS
     return HalfStep(f, linalg.gram_of(got, k) if packed else linalg.gram(f), got["cross"] or 0.0, int(got["n"] or 0))
 
 
-def materialise(solved: DataFrame, k: int, limits: Limits, side: str) -> HalfStep:
+def half_step(td: TermDoc, f: Factor, limits: Limits, side: str, g: np.ndarray, done, method: str, shift: float, ridge: float) -> HalfStep:
+    """The factor of ``side`` for the fixed other one, whose Gram matrix is ``g``."""
+    spark, k = f.frame.sparkSession, f.k
     t, _ = limits.side(side)
-    few = t is not None and limits.ties == "exact" and heap_fits(solved.sparkSession, t * (k if limits.scope == "topic" else 1))
+    few = t is not None and limits.ties == "exact" and heap_fits(spark, t * (k if limits.scope == "topic" else 1))
+    if few and f.local and f.rows and not shift and linalg.choose_layout(k) == "packed":
+        return _local_step(linalg.solve_scaled(td, f, side, g, done=done, method=method, ridge=ridge), k, limits, side, g)
+    options = {"done": done, "method": method, "shift": shift, "ridge": ridge}
+    solved = linalg.solve_docs(td, f, gram_u=g, **options) if side == "v" else linalg.solve_terms(td, f, gram_v=g, **options)
     return (_local_step if few else _written_step)(solved, k, limits, side)
 
 
@@ -139,11 +150,11 @@ def sparse_als(
     gram_u = linalg.gram(u)
     for i in range(1, max_iter + 1):
         began = time.perf_counter()
-        v_step = materialise(linalg.solve_docs(td, u, done=done, method=method, shift=shift[1], ridge=ridge, gram_u=gram_u), k, limits, "v")
+        v_step = half_step(td, u, limits, "v", gram_u, done, method, shift[1], ridge)
         discard(v)
         v = v_step.factor
         peak = max(peak, u.nnz + v.nnz) if u.nnz is not None else peak
-        u_step = materialise(linalg.solve_terms(td, v, done=done, method=method, shift=shift[0], ridge=ridge, gram_v=v_step.gram), k, limits, "u")
+        u_step = half_step(td, v, limits, "u", v_step.gram, done, method, shift[0], ridge)
         new, gram_u = u_step.factor, u_step.gram
         revived = revive == "reseed" and (np.diag(gram_u) == 0).any()
         if revived:

@@ -7,7 +7,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.choice import choose_layout, hinted
-from .factors import Factor
+from .factors import Factor, from_local, key_kind
 from .matrix import TermDoc
 
 
@@ -141,6 +141,26 @@ def correction(done: Factor, c: np.ndarray) -> DataFrame:
     return done.frame.select("row", times("w", -c).alias("c"))
 
 
+def solve_scaled(td: TermDoc, f: Factor, side: str, g: np.ndarray, *, done: tuple[Factor, Factor] | None = None, method: str = "pinv", ridge: float = 0.0) -> DataFrame:
+    """A half step from a factor that the driver holds: (row, w, s), w the clipped solution and s the plain one.
+
+    The inverse Gram matrix is multiplied into the factor's few rows before they are sent, so that the sums are the
+    solution already. The plan of every iteration is the same text: its generated code is compiled once.
+    """
+    spark, inverse = f.frame.sparkSession, invert_gram(g, method, ridge=ridge)
+    scaled = Factor(f.k, from_local(spark, f.rows, f.w @ inverse, f.k, key_kind(f.frame)).frame, f.nnz)
+    extra = None
+    if done:
+        finished, other = done if side == "v" else done[::-1]
+        c = cross_gram(finished, f) @ inverse
+        if other.local:
+            extra = from_local(spark, other.rows, -other.w @ c, f.k, key_kind(other.frame)).frame.select("row", F.col("w").alias("c"))
+        else:
+            extra = correction(other, c)
+    s = (doc_product if side == "v" else term_product)(td, scaled, extra).select("row", F.col("b").alias("s"))
+    return s.where(F.exists("s", lambda x: x > 0)).select("row", F.transform("s", project_nonneg).alias("w"), "s")
+
+
 def _solved(product, f: Factor, g: np.ndarray | None, method: str, shift: float, ridge: float) -> DataFrame:
     g = gram(f) if g is None else g
     return apply_gram(product(f), invert_gram(g, method, ridge=ridge), shift)
