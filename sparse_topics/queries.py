@@ -355,6 +355,9 @@ fit_query("w11_timing", None, lambda s, d, td: X.run_timing(s, td))
 fit_query("w12_seed_spread", None, lambda s, d, td: X.run_seed_spread(s, td, X.groups(s, d), 4))
 fit_query("w14_related_methods", None, lambda s, d, td: X.run_related_methods(s, td, X.groups(s, d), 4))
 
+#: Workloads in whole form: many fits of many iterations.
+WHOLE = {name for name in QUERIES if name.startswith("w") and name.split("_")[0][1:].isdigit()}
+
 # ---- workloads with two topics and two iterations, which a statement can unroll ---------------------------------------
 
 LANG = _groups_sql("lang")
