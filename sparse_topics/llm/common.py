@@ -73,11 +73,6 @@ def sliced(batches, rows: int = 500):
             yield b.slice(a, rows)
 
 
-def small_batches(spark: SparkSession, rows: int = 500) -> None:
-    """Bound the rows (whole texts) that an Arrow batch carries to a Python worker."""
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
-
-
 def ascii_lower(col: Column) -> Column:
     return F.translate(col, UPPER, LOWER)
 
