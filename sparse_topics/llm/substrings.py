@@ -34,7 +34,7 @@ from .common import TaskFile, file_system, fresh_path, make_folder, release, wri
 LENGTH, K = 50, 24  # K: a multiple of 8
 PAGE_BYTES = 1 << 20
 SHARD_BYTES = 6 << 20
-PAGES_A_TASK, SHARDS_A_TASK = 8, 4
+PAGES_A_TASK = 8
 HOT_PAGES = 20_000
 NULL_ID = (1 << 63) - 1
 _POSITION_BITS = 23
@@ -459,10 +459,8 @@ def _dealt(index: DataFrame, n_pages: int) -> DataFrame:
 
 
 def _by_task(asked: DataFrame, shards: int):
-    """The questions grouped by shard, a few neighbouring shards a task: a task's share does not grow with the input."""
-    tasks = max(min(shards, 4 * asked.sparkSession.sparkContext.defaultParallelism), -(-shards // SHARDS_A_TASK))
-    numbered = asked.withColumn("task", F.expr(f"CAST(shard * {tasks} div {shards} AS INT)"))
-    return numbered.repartitionById(tasks, "task").groupBy("task", "shard")
+    """The questions grouped by shard, each shard in a task of its own: a task's share does not grow with the input."""
+    return asked.withColumn("task", F.col("shard").cast("int")).repartitionById(shards, "task").groupBy("task", "shard")
 
 
 def _shared_minimizers(index: DataFrame, folder: str, shards: int, hot_pages: int) -> DataFrame:
