@@ -43,7 +43,7 @@ def _rows(spark: SparkSession, rows: list[tuple]) -> DataFrame:
     return spark.createDataFrame(rows, SWEEP)
 
 
-def _many(jobs: list, workers: int = 3) -> list:
+def _many(jobs: list, workers: int = 5) -> list:
     """Independent fits share one matrix and are submitted together, so that their small jobs fill the cluster."""
     with ThreadPoolExecutor(workers) as pool:
         return list(pool.map(lambda f: f(), jobs))
