@@ -155,21 +155,29 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, *, per_class
     return learning_sample(docs, labels, label, per_class=per_class, **options)[:2]
 
 
-def _blocks(matrix: np.ndarray, rows: int = 512) -> Iterator[tuple[slice, np.ndarray]]:
-    """Rows in double precision, few at a time."""
-    for a in range(0, len(matrix), rows):
-        yield slice(a, a + rows), matrix[a : a + rows].astype(np.float64)
+Rows = list[tuple[np.ndarray, np.ndarray]]  # (slots, values) of each row
 
 
-def latent_axes(matrix: np.ndarray, rank: int, tolerance: float = 1e-12, most: int = 120) -> np.ndarray:
+def _blocks(rows: Rows, width: int, size: int = 256) -> Iterator[tuple[slice, np.ndarray]]:
+    """Dense rows, few at a time: the whole matrix would be as large as the driver's other memory."""
+    for a in range(0, len(rows), size):
+        part = rows[a : a + size]
+        dense = np.zeros((len(part), width))
+        for i, (slots, values) in enumerate(part):
+            dense[i, slots] = values
+        yield slice(a, a + len(part)), dense
+
+
+def latent_axes(rows: Rows, width: int, rank: int, tolerance: float = 1e-12, most: int = 120) -> np.ndarray:
     """The ``rank`` leading right singular vectors as columns: subspace iteration on the rows' Gram matrix (the rows are a
     bounded sample) until the subspace stands still."""
-    n = len(matrix)
+    n = len(rows)
     r = min(rank, n)
     gram = np.empty((n, n))
-    for i, x in _blocks(matrix):
-        for j, y in _blocks(matrix):
+    for i, x in _blocks(rows, width):
+        for j, y in _blocks(rows[: i.stop], width):
             gram[i, j] = x @ y.T
+            gram[j, i] = gram[i, j].T
     basis, _ = np.linalg.qr(np.random.default_rng(7).standard_normal((n, min(n, r + 24))))
     old = np.zeros(basis.shape[1])
     for _ in range(most):
@@ -178,7 +186,7 @@ def latent_axes(matrix: np.ndarray, rank: int, tolerance: float = 1e-12, most: i
         if np.abs(new[:r] - old[:r]).max() <= tolerance * max(new.max(), 1e-300):
             break
         old = new
-    _, _, vt = np.linalg.svd(sum(basis[i].T @ x for i, x in _blocks(matrix)), full_matrices=False)
+    _, _, vt = np.linalg.svd(sum(basis[i].T @ x for i, x in _blocks(rows, width)), full_matrices=False)
     return vt[:r].T
 
 
@@ -188,15 +196,15 @@ def fit(sample: list[tuple[str | None, int]], counts: dict[int, int], rank: int
     prior = counts.get(1, 0) / total if total else 0.5
     if not n:
         return NeighbourModel(np.zeros((BUCKETS, 1)), np.zeros((0, 1)), np.zeros(0), np.zeros(0), prior)
-    matrix = np.zeros((n, BUCKETS), np.float32)
-    for i, (text, _) in enumerate(sample):
-        slots, tf = sparse(text)
-        matrix[i, slots] = tf
-    idf = np.log((1 + n) / (1 + np.count_nonzero(matrix, axis=0))) + 1
-    for i in range(n):  # row by row: a copy of the matrix would be as large as the driver's other memory
-        row = matrix[i] * idf
-        matrix[i] = row / max(np.linalg.norm(row), 1e-12)
-    axes = latent_axes(matrix, rank)
+    rows = [sparse(text) for text, _ in sample]
+    held = np.zeros(BUCKETS)
+    for slots, _ in rows:
+        held[slots] += 1
+    idf = np.log((1 + n) / (1 + held)) + 1
+    for i, (slots, tf) in enumerate(rows):
+        weighted = tf * idf[slots]
+        rows[i] = slots, weighted / max(np.linalg.norm(weighted), 1e-12)
+    axes = latent_axes(rows, BUCKETS, rank)
     model = NeighbourModel(idf[:, None] * axes, np.zeros((0, axes.shape[1])), np.array([y for _, y in sample], np.float64), np.zeros(0), prior)
     model.vectors = model.embed([t for t, _ in sample])
     taken = Counter(y for _, y in sample)

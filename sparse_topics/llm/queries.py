@@ -13,11 +13,18 @@ from .common import load, remainder
 FOLDS, LANG_FOLDS = 5, 4
 
 
+def bounded_batches(spark: SparkSession) -> None:
+    """Few whole texts an Arrow batch. Operators work with any size of batch and change no setting; the registered queries
+    and the pipeline, which own their session, always ask for this one."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "500")
+
+
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(load(spark, sf_dir, "documents"))
 
 
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    bounded_batches(spark)
     return simhash.near_duplicates(load(spark, sf_dir, "documents"))
 
 
@@ -35,6 +42,7 @@ def _judged(docs: DataFrame, model, threshold: float) -> DataFrame:
 
 
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    bounded_batches(spark)
     docs = load(spark, sf_dir, "documents")
     learn = remainder(F.col("doc_id"), FOLDS) != 0
     sample = quality.learning_sample(docs, learnable(load(spark, sf_dir, "labels")), "toxic", per_class=toxicity.PER_CLASS, unlabelled=toxicity.UNLABELLED, may_learn=learn)
@@ -46,11 +54,13 @@ def quality_model(docs: DataFrame, labels: DataFrame) -> quality.NeighbourModel:
 
 
 def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    bounded_batches(spark)
     docs = load(spark, sf_dir, "documents")
     return _judged(docs, quality_model(docs, load(spark, sf_dir, "labels")), 0.3)
 
 
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    bounded_batches(spark)
     out = substrings.remove_repeats(load(spark, sf_dir, "documents"))
     return out.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
 
@@ -64,10 +74,12 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    bounded_batches(spark)
     return media.media_columns(load(spark, sf_dir, "documents"))
 
 
 def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    bounded_batches(spark)
     docs = load(spark, sf_dir, "documents")
     learned = langid.learn_dictionaries(docs.where(remainder(F.col("doc_id"), LANG_FOLDS) != 2))
     out = langid.identify(docs, learned)
