@@ -94,6 +94,17 @@ def test_asof_tolerance_and_samples(spark):
     assert L.sample_docs(left, 1.0).count() == 3
 
 
+def test_lateral_rows_are_ranked_by_length(spark, tmp_path):
+    """The rank itself has the order: a sort before the exchange is no order after it."""
+    rows = [(i, f"src{i % 3}", (i * 7919) % 5000) for i in range(3000)] + [(3001, "src1", None), (3002, None, 9999), (3003, "src2", 4999)]
+    spark.createDataFrame(rows, "doc_id long, source string, n_chars long").repartition(16).write.parquet(f"{tmp_path}/documents.parquet")
+    out = Q.QUERIES["lateral_longest"](spark, str(tmp_path))
+    best = {s: sorted((-(n or -1), i) for i, q, n in rows if q == s)[:2] for s in ("src0", "src1", "src2")}
+    assert sorted(map(tuple, out.collect())) == sorted((s, i) for s, two in best.items() for _, i in two)
+    plan = out._jdf.queryExecution().optimizedPlan().toString()
+    assert "n_chars" in plan.split("windowspecdefinition(")[1].split("specifiedwindowframe")[0]
+
+
 def test_near_terms_against_brute_force(spark, tiny):
     def edits(a, b):
         row = list(range(len(b) + 1))
