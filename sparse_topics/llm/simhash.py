@@ -50,7 +50,12 @@ def fingerprint(text: str | None) -> int:
     n = max(1, len(words) - SHINGLE + 1)
     stops = ends[min(SHINGLE, len(words)) - 1 :]
     digest = xxhash.xxh64_intdigest
-    h = np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts[:n].tolist(), stops.tolist(), strict=True)), np.uint64, n)
+    return majority_bits(np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts[:n].tolist(), stops.tolist(), strict=True)), np.uint64, n))
+
+
+def majority_bits(h: np.ndarray) -> int:
+    """The unsigned fingerprint of shingle hashes: the bits that are set in over half of them."""
+    n = len(h)
     counts = np.zeros(64, np.int64)
     for i in range(0, n, 1 << 15):
         part = h[i : i + (1 << 15)].astype("<u8")
@@ -218,6 +223,70 @@ def links(distinct: DataFrame, hot_run: int = HOT_RUN) -> DataFrame:
         spread = _dealt_again(hot, level)
 
 
+def nearest_in_run(fps: np.ndarray, start: int, distance: int) -> tuple[np.ndarray, np.ndarray]:
+    """(member, partner) positions: for each fingerprint of a run the nearest one before it within ``distance`` bits, pruned
+    by the budget of every chain after ``start``."""
+    turned = fps if not start else (fps << np.uint64(WIDTH * start)) | (fps >> np.uint64(64 - WIDTH * start))
+    chains = [(np.uint64((1 << 64) - (1 << (64 - WIDTH * n))), n * distance // SEGMENTS) for n in range(2, SEGMENTS) if (n + 1) * distance // SEGMENTS > n * distance // SEGMENTS]
+    members, partners = [], []
+    for a in range(0, len(fps), 256):
+        x = turned[a : a + 256, None] ^ turned[None, : a + 256]
+        far = np.bitwise_count(x).astype(np.int16)
+        ok = (far <= distance) & (np.arange(x.shape[1])[None, :] < np.arange(a, a + x.shape[0])[:, None])
+        for mask, budget in chains:
+            ok &= np.bitwise_count(x & mask) <= budget
+        far[~ok] = 99
+        best = far.argmin(1)
+        hit = np.flatnonzero(far[np.arange(len(best)), best] < 99)
+        members.append(hit + a), partners.append(best[hit])
+    return np.concatenate(members), np.concatenate(partners)
+
+
+def nearest(marked: DataFrame, distance: int, run: int = BLOCK_RUN) -> DataFrame:
+    """(u, v): pairs of marks within ``distance`` bits for an exact check, from (mark, fp), fp the fingerprint of what the
+    mark names. The same ring: the segments after each start that a budget under one bit leaves equal are the join key.
+
+    A mark is paired with its nearest one of each run, so there are at most 16 pairs a mark and never those of a whole group.
+    Runs are taken in pieces of ``run``; callers have an exact way for the pairs that are not given."""
+    chain = -(-SEGMENTS // distance) - 1
+    if chain < 1:
+        raise ValueError("distance leaves no whole segment to join by")
+    fp = F.col("fp")
+    places = F.array(*[F.struct(F.lit(i).cast("long").alias("start"), F.shiftrightunsigned(_turned(fp, i), 64 - WIDTH * chain).alias("key")) for i in range(SEGMENTS)])
+
+    def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[np.ndarray] = []  # (start, key, fp, mark) of the run that may go on
+
+        def linked(rows: np.ndarray) -> pa.RecordBatch:
+            heads = np.flatnonzero(np.r_[True, (rows[1:, 0] != rows[:-1, 0]) | (rows[1:, 1] != rows[:-1, 1])])
+            us, vs = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+            for a, z in zip(heads.tolist(), np.r_[heads[1:], len(rows)].tolist(), strict=True):
+                for at in range(a, z, run):
+                    part = rows[at : min(at + run, z)]
+                    if len(part) > 1:
+                        i, j = nearest_in_run(part[:, 2].copy().view(np.uint64), int(part[0, 0]), distance)
+                        us.append(part[i, 3]), vs.append(part[j, 3])
+            u, v = np.concatenate(us), np.concatenate(vs)
+            return pa.RecordBatch.from_arrays([pa.array(np.minimum(u, v)), pa.array(np.maximum(u, v))], ["u", "v"])
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            held.append(np.stack([np.asarray(batch.column(i)) for i in range(4)], axis=1))
+            rows = np.concatenate(held)
+            new = np.flatnonzero((rows[:, 0] != rows[-1, 0]) | (rows[:, 1] != rows[-1, 1]))
+            done = int(new[-1]) + 1 if len(new) else 0
+            done += (len(rows) - done) // run * run  # whole pieces of the last run
+            if done:
+                yield linked(rows[:done])
+            held = [rows[done:]]
+        if held and len(held[0]):
+            yield linked(held[0])
+
+    spread = marked.select(F.inline(places), "fp", "mark").repartition("start", "key").sortWithinPartitions("start", "key", "fp", "mark")
+    return spread.mapInArrow(pairs, "u long, v long")
+
+
 def _classes(marks: DataFrame) -> DataFrame:
     """(fp, root): every fingerprint with its component's root."""
     distinct, path = write_table(marks.select("fp").distinct(), "fp")

@@ -303,6 +303,58 @@ def test_resembling_pairs_are_all_found(spark, tiny):
     assert sorted(r.doc_id for r in kept.collect()) == [i for i in ids if find(i) == i] and kept.columns == docs.columns
 
 
+def test_nearest_pairs_of_fingerprints(spark):
+    """Each fingerprint with a partner before it in a run gets its nearest one; pairs beyond the distance never come."""
+    rng = random.Random(4)
+    values = []
+    for _ in range(40):
+        base = rng.getrandbits(64)
+        values += [base] + [base ^ sum(1 << b for b in rng.sample(range(64), rng.randrange(0, 8))) for _ in range(4)]
+    rows = [(m, int(np.uint64(v).view(np.int64))) for m, v in enumerate(values)]
+    for run in (simhash.BLOCK_RUN, 2):
+        got = {tuple(r) for r in simhash.nearest(spark.createDataFrame(rows, "mark long, fp long"), 5, run).collect()}
+        far = {(i, j): (values[i] ^ values[j]).bit_count() for j in range(len(values)) for i in range(j)}
+        assert got and all(far[p] <= 5 for p in got) and len(got) <= 16 * len(values)
+        if run > 2:
+            linked = {m for p in got for m in p}
+            assert linked >= {max(p, key=lambda m: (rows[m][1], m)) for p, d in far.items() if d <= 5}
+    with pytest.raises(ValueError):
+        simhash.nearest(spark.createDataFrame(rows, "mark long, fp long"), 16)
+
+
+def test_a_group_of_near_copies_is_not_paired(spark, monkeypatch):
+    """Near copies of one text, most of them under the share with each other, and texts around one passage: candidates stay
+    in proportion to the rows, the first ones come from the fingerprints, and no component is lost."""
+    rng = random.Random(6)
+    base, passage, texts = [f"b{i}" for i in range(120)], [f"p{i}" for i in range(40)], []
+    for _ in range(150):
+        w = base.copy()
+        for _ in range(rng.randrange(1, 5)):
+            w[rng.randrange(len(w))] = f"x{rng.randrange(10**6)}"
+        texts.append(" ".join(w))
+    texts += [" ".join(passage + [f"y{rng.randrange(10**6)}" for _ in range(40)]) for _ in range(150)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    rounds, whole = [], resemblance._verified
+
+    def counted(pairs, *more):
+        rounds.append(pairs.distinct().count())
+        return whole(pairs, *more)
+
+    searched = []
+    monkeypatch.setattr(resemblance, "nearest", lambda marked, bits: searched.append(bits) or simhash.nearest(marked, bits))
+    monkeypatch.setattr(resemblance, "_verified", counted)
+    kept = sorted(r.doc_id for r in resemblance.keep_one(docs).collect())
+    assert searched == [resemblance.BITS] and rounds[0] > 0 and max(rounds) <= 8 * len(texts)
+    sets = [set(zip(*[w[i:] for i in range(5)], strict=False)) for w in map(str.split, texts)]
+    root = list(range(len(texts)))
+    for j in range(len(texts)):
+        for i in range(j):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]) and root[i] != root[j]:
+                a, b = root[i], root[j]
+                root = [min(a, b) if r in (a, b) else r for r in root]
+    assert kept == [i for i, r in enumerate(root) if i == r]
+
+
 def test_resemblance_awkward(awkward, nothing):
     kept = resemblance.keep_one(awkward).collect()
     assert len(kept) == len({tuple(words(r.text)) for r in awkward.collect()})
