@@ -355,6 +355,57 @@ def test_a_group_of_near_copies_is_not_paired(spark, monkeypatch):
     assert kept == [i for i, r in enumerate(root) if i == r]
 
 
+def test_keys_that_are_left_out_lose_no_pair(spark):
+    """Every resembling pair still meets under a key that fits it, and sets that share many keys meet few times."""
+    rng, sets = random.Random(8), []
+    for _ in range(60):
+        base = [rng.randrange(1 << 62) for _ in range(rng.randrange(1, 120))]
+        sets.append(base)
+        for _ in range(4):
+            cut = rng.choice([0.0, 0.05, 0.1, 0.12, 0.2, 0.3])
+            sets.append([x for x in base if rng.random() >= cut] + [rng.randrange(1 << 62) for _ in range(rng.randrange(1 + len(base) // 10))])
+    passage = [rng.randrange(1 << 10) for _ in range(40)]  # first in the order, in sets that resemble no other
+    sets += [passage + [rng.randrange(1 << 62) for _ in range(60)] for _ in range(30)]
+    sets = [sorted(set(s)) for s in {tuple(s) for s in sets if s}]
+    share = resemblance.SHARE
+    rows = [(i, len(s), p, k, i) for i, s in enumerate(sets) for p, k in enumerate(s[: resemblance.prefix_length(len(s), share)])]
+    keys = spark.createDataFrame(rows, "fp long, n int, pos int, key long, root long")
+    left = resemblance._first_keys(resemblance._apart(keys, share, 0)).collect()
+    assert len({(r.fp, r.key) for r in left}) == len(left) and {(r.fp, r.n, r.pos, r.key, r.root) for r in left} <= set(rows)
+    by_key = {}
+    for r in left:
+        by_key.setdefault(r.key, []).append(r)
+    met = set()
+    for group in by_key.values():
+        for a in group:
+            met |= {(a.fp, b.fp) for b in group if a.fp < b.fp and min(a.n - a.pos, b.n - b.pos) >= share / (1 + share) * (a.n + b.n) - 1e-6}
+    want = {(i, j) for j in range(len(sets)) for i in range(j) if len(set(sets[i]) & set(sets[j])) >= share * len(set(sets[i]) | set(sets[j]))}
+    assert len(want) > 50 and want <= met
+    of_passage = [r for r in left if r.key < 1 << 10]
+    assert 0 < len(of_passage) <= 45 < 500 < sum(k < 1 << 10 for *_, k, _ in rows)
+
+
+def test_sketches_go_with_few_keys(spark, monkeypatch):
+    """Texts that share half of their words with one other, and resemble none: a sketch is sent about once for each partner
+    and not once for each common key."""
+    rng, texts = random.Random(9), []
+    for i in range(100):
+        common = [f"c{i}x{j}" for j in range(100)]
+        texts += [" ".join(common + [f"y{rng.randrange(10**9)}" for _ in range(60)]) for _ in range(2)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    tables, write = {}, resemblance.write_table
+
+    def kept(df, name):
+        if name in ("resemblance-keys", "resemblance-last"):
+            tables.setdefault(name, []).append(df.count())
+        return write(df, name)
+
+    monkeypatch.setattr(resemblance, "write_table", kept)
+    assert resemblance.keep_one(docs).count() == len(texts)
+    keys, (last,) = tables["resemblance-keys"][-1], tables["resemblance-last"]
+    assert 0 < last <= len(texts) < 3 * len(texts) < keys
+
+
 def test_resemblance_awkward(awkward, nothing):
     kept = resemblance.keep_one(awkward).collect()
     assert len(kept) == len({tuple(words(r.text)) for r in awkward.collect()})
