@@ -72,6 +72,23 @@ def test_model_on_disk(spark, tiny, tmp_path):
     assert sorted(map(tuple, back.u.long().collect())) == sorted(map(tuple, fit.u.long().collect())) and back.steps == fit.steps
 
 
+def test_preparation_counts_in_rows_unless_ids_repeat(spark, monkeypatch):
+    """The same matrix and facts either way; rows of one id are merged."""
+    from sparse_topics.operators import matrix
+
+    rows = [(1, "a b b c"), (2, None), (3, ""), (4, "c c a d"), (5, "a")]
+    hows, count = [], matrix.count_terms
+    monkeypatch.setattr(matrix, "count_terms", lambda docs, how, **o: hows.append(how) or count(docs, how, **o))
+    monkeypatch.setattr(matrix, "SLICE", 2)
+    for more, how in (([], "in_row"), ([(4, "a e e")], "shuffle"), ([(None, "c")], "shuffle")):
+        docs = spark.createDataFrame(rows + more, "doc_id long, text string")
+        for weight in ("df", "none", "tfidf"):
+            a, b = build_term_doc(docs, stop=(), weight=weight), build_term_doc(docs, stop=(), weight=weight, how="shuffle", store=False)
+            assert hows[-2] == how and a.n_docs == b.n_docs == len(rows) + len(more)
+            assert sorted(map(str, a.coo.collect())) == sorted(map(str, b.coo.collect()))
+            assert a.facts() == pytest.approx(b.facts())
+
+
 def test_counts_in_row_and_html(spark):
     docs = spark.createDataFrame([(1, "Äb ab äB x1y"), (2, None), (3, "")], "doc_id long, text string")
     assert {tuple(r) for r in count_terms(docs, "in_row").collect()} == {tuple(r) for r in count_terms(docs).collect()} == {("äb", 1, 2), ("ab", 1, 1), ("x", 1, 1), ("y", 1, 1)}
